@@ -36,14 +36,14 @@ def source_targets(sizes: DataFrame, weights: Sequence[float] = (5, 2, 1), cap:
     by_name = Window.partitionBy(F.lit(1)).orderBy(F.col("source").asc_nulls_last())
     cycle = F.array(*[F.lit(float(w)) for w in weights])
     per = per.withColumn("weight", F.element_at(cycle, (F.pmod(F.row_number().over(by_name) - 1, F.lit(len(weights))) + 1).cast("int")))
-    # level of water: the least lambda at which capped sources and lambda * weight of the others fill the budget
+    # level of water: the first lambda, from the tightest cap on, at which capped sources and lambda * weight of the others fill the budget
     by_ratio = Window.partitionBy(F.lit(1)).orderBy(F.col("ratio"), F.col("source").asc_nulls_last())
     before, whole = by_ratio.rowsBetween(Window.unboundedPreceding, -1), by_ratio.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     per = per.withColumn("ratio", F.lit(float(cap)) * F.col("source_size") / F.col("weight"))
     capped = F.coalesce(F.sum(F.lit(float(cap)) * F.col("source_size")).over(before), F.lit(0.0))
     open_weight = F.sum("weight").over(whole) - F.coalesce(F.sum("weight").over(before), F.lit(0.0))
     per = per.withColumn("level", (F.sum("source_size").over(whole) - capped) / open_weight)
-    per = per.withColumn("level", F.min(F.when(F.col("level") <= F.col("ratio"), F.col("level"))).over(whole))
+    per = per.withColumn("level", F.first(F.when(F.col("level") <= F.col("ratio"), F.col("level")), ignorenulls=True).over(whole))
     target = F.least(F.lit(float(cap)) * F.col("source_size"), F.col("level") * F.col("weight"))
     return per.select("source", "docs", "source_size", F.coalesce(target, F.lit(0.0)).alias("target"))
 
