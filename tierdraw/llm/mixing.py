@@ -5,7 +5,8 @@ shared again by weight. Every document of a source then has the same fractional
 Rounding: within a bucket of a source, two documents with fractional copies exchange word mass, at
 random and without bias, until one of them is integral; one fractional document stays per bucket,
 and these meet again, 64 buckets at a time, in a reduction tree of Spark groups up to one per source.
-Word mass is conserved by every exchange, so a source misses its target by less than one document.
+Word mass is conserved by every exchange, so what a source misses is what the coin of its last document adds or takes. Large documents are
+rounded first, and what they miss is spread, without bias, over the copies of the smaller ones: the last coin is that of a small document.
 """
 
 from __future__ import annotations
@@ -21,6 +22,8 @@ from .common import MASK64, cut, n_words, unit
 
 #: Documents, and words, of a bucket: bounds the group that one task holds.
 BUCKET_DOCS, BUCKET_WORDS, FAN_IN = 4096, 4_000_000, 64
+#: Size classes, from large to small, begin at these shares of the source's mean size.
+CLASSES = (1.0, 0.25, 0.0)
 EPS = 1e-12
 
 
@@ -111,33 +114,46 @@ def mix_copies(docs: DataFrame, id_col: str = "doc_id", source_col: str = "sourc
     base = base.withColumn("source", F.col(at[source_col]))
     targets = source_targets(base.select("source", "size"), weights, cap).withColumnRenamed("source", "t_source")
     targets = targets.withColumn("ratio", F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0)))
-    targets = targets.withColumn("whole", F.floor(F.col("ratio") + F.lit(1e-9)))
-    targets = targets.withColumn("mix_p", F.greatest(F.lit(0.0), F.col("ratio") - F.col("whole")))
-    buckets = F.greatest(F.ceil(F.col("docs") / BUCKET_DOCS), F.ceil(F.col("source_size") / BUCKET_WORDS))
-    rows = base.join(targets, F.col("source").eqNullSafe(F.col("t_source")), "left").drop("t_source", "ratio")
-    # without the size: the hot source's key is spread over its buckets before the shuffle of the groups
+    rows = base.join(targets, F.col("source").eqNullSafe(F.col("t_source")), "left").drop("t_source")
     rows = rows.withColumn("mix_key", F.xxhash64(F.lit(seed), F.col(at[id_col]), F.col("size")))
+    # the hot source is spread over its buckets before the groups are shuffled
+    buckets = F.greatest(F.ceil(F.col("docs") / BUCKET_DOCS), F.ceil(F.col("source_size") / BUCKET_WORDS), F.lit(1))
     rows = rows.withColumn("bucket", F.pmod(F.xxhash64(F.lit(seed + 1), F.col(at[id_col])), buckets))
-    rows = rows.withColumn("mix_open", F.lit(False))
+    share = F.col("size") * F.col("docs") / F.greatest(F.col("source_size"), F.lit(1))
+    rows = rows.withColumn("class", F.when(share >= CLASSES[0], 0).when(share >= CLASSES[1], 1).otherwise(2))
+    held = rows.groupBy("source", "class").agg(F.sum("size").alias("words"))
+    out, missed = None, None
+    for k in range(len(CLASSES)):
+        part = rows.filter(F.col("class") == k).withColumn("mix_r", F.col("ratio"))
+        if missed is not None:
+            rest = held.filter(F.col("class") >= k).groupBy("source").agg(F.sum("words").alias("open_words"))
+            shift = missed.join(rest.withColumnRenamed("source", "r_source"), F.col("source").eqNullSafe(F.col("r_source"))).select(F.col("source").alias("s_source"), (F.col("missed") / F.greatest(F.col("open_words"), F.lit(1))).alias("shift"))
+            part = part.join(shift, F.col("source").eqNullSafe(F.col("s_source")), "left").withColumn("mix_r", F.greatest(F.lit(0.0), F.least(F.lit(float(cap)), F.col("ratio") + F.coalesce("shift", F.lit(0.0))))).drop("s_source", "shift")
+        done = _rounded(part, seed + 7 * k)
+        out = done if out is None else out.unionByName(done)
+        missed = out.groupBy("source").agg(F.sum(F.col("size") * (F.col("ratio") - F.col("copies"))).alias("missed"))
+    return out.select(
+        *[F.col(f"d{k}").alias(c) for k, c in enumerate(names)],
+        F.col("size").alias("mix_size"), F.col("source_size").alias("mix_source_size"), F.col("target").alias("mix_target"),
+        F.col("copies").alias("mix_copies"),
+    )
+
+
+def _rounded(rows: DataFrame, seed: int) -> DataFrame:
+    """Rows with mix_r as whole copies, by exchanges in buckets and then in the reduction tree of what is left of these."""
+    rows = rows.withColumn("whole", F.floor(F.col("mix_r") + F.lit(1e-9)))
+    rows = rows.withColumn("mix_p", F.greatest(F.lit(0.0), F.col("mix_r") - F.col("whole"))).withColumn("mix_open", F.lit(False)).drop("mix_r")
     schema = T.StructType([T.StructField(f.name, f.dataType) for f in rows.schema.fields])
     step = _rounder(seed)
     level = cut(rows.groupBy("source", "bucket").applyInPandas(step, schema))
-    done, open_rows = [level.filter("not mix_open")], level.filter("mix_open")
+    out, left = level.filter("not mix_open"), level.filter("mix_open")
     widest = level.agg(F.max("bucket")).first()[0] or 0  # one number
     while widest > 0:
         widest //= FAN_IN
-        merged = cut(open_rows.withColumn("bucket", F.floor(F.col("bucket") / FAN_IN)).groupBy("source", "bucket").applyInPandas(step, schema))
-        done.append(merged.filter("not mix_open"))
-        open_rows = merged.filter("mix_open")
-    done.append(open_rows.mapInPandas(_closer(seed), schema))
-    out = done[0]
-    for df in done[1:]:
-        out = out.unionByName(df)
-    return out.select(
-        *[F.col(f"d{k}").alias(c) for k, c in enumerate(names)],
-        F.col("size").alias("mix_size"), F.col("source_size").alias("mix_source_size"), F.col("target").alias("mix_target"),
-        (F.col("whole") + F.round("mix_p").cast("bigint")).alias("mix_copies"),
-    )
+        level = cut(left.withColumn("bucket", F.floor(F.col("bucket") / FAN_IN)).groupBy("source", "bucket").applyInPandas(step, schema))
+        out, left = out.unionByName(level.filter("not mix_open")), level.filter("mix_open")
+    out = out.unionByName(left.mapInPandas(_closer(seed), schema))
+    return out.withColumn("copies", F.col("whole") + F.round("mix_p").cast("bigint")).drop("whole", "mix_p", "mix_open")
 
 
 def take_copies(mixed: DataFrame, columns: Sequence[str]) -> DataFrame:

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, mixing, quality, substring, toxicity
+from . import bpe, mixing, neardup, quality, substring, toxicity
 from .common import n_words, table
 
 BPE_FILE = "word_bpe_49k.json"
@@ -20,6 +20,10 @@ def tokenizer_path(name: str = BPE_FILE) -> str:
     return public_tokenizers.path(name)
 
 
+def op3_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op5_bpe_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_column(table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path(), "text", digests=True).drop("text")
 
@@ -48,7 +52,7 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op5_bpe_roundtrip, op6_toxicity, op7_quality, op8_substring, op10_mixing)}
+    return {f.__name__: f for f in (op3_ngram_join, op5_bpe_roundtrip, op6_toxicity, op7_quality, op8_substring, op10_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
