@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, mixing, neardup, quality, substring, toxicity
+from . import bpe, htmltext, mixing, neardup, quality, substring, toxicity, urlfilter
 from .common import n_words, table
 
 BPE_FILE = "word_bpe_49k.json"
@@ -20,6 +20,14 @@ def tokenizer_path(name: str = BPE_FILE) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return htmltext.extract(table(spark, sf_dir, "pages", "page_id", "url", "html"))
+
+
+def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urlfilter.judge(table(spark, sf_dir, "pages", "page_id", "url")).drop("url")
+
+
 def op3_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"))
 
@@ -52,8 +60,8 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_ngram_join, op5_bpe_roundtrip, op6_toxicity, op7_quality, op8_substring, op10_mixing)}
+    return {f.__name__: f for f in (op1_main_text, op2_url_filter, op3_ngram_join, op5_bpe_roundtrip, op6_toxicity, op7_quality, op8_substring, op10_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_url_filter": urlfilter.oracle_sql()}
