@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, htmltext, mixing, neardup, quality, substring, toxicity, urlfilter
+from . import ann, bpe, htmltext, mixing, neardup, quality, substring, toxicity, urlfilter
 from .common import n_words, table
 
 BPE_FILE = "word_bpe_49k.json"
@@ -32,6 +32,10 @@ def op3_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op4_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.search(table(spark, sf_dir, "embeddings", "vec_id", "embedding"), lambda vec_id: vec_id % 20 == 0)
+
+
 def op5_bpe_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_column(table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path(), "text", digests=True).drop("text")
 
@@ -60,7 +64,7 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_main_text, op2_url_filter, op3_ngram_join, op5_bpe_roundtrip, op6_toxicity, op7_quality, op8_substring, op10_mixing)}
+    return {f.__name__: f for f in (op1_main_text, op2_url_filter, op3_ngram_join, op4_nearest, op5_bpe_roundtrip, op6_toxicity, op7_quality, op8_substring, op10_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
