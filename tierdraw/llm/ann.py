@@ -22,9 +22,9 @@ from .common import cut
 #: Bounds of the index: sampled vectors and their numbers, lists, members of a list aimed at.
 SAMPLE, SAMPLE_FLOATS, MAX_LISTS, LIST_SIZE = 20_000, 4_000_000, 4096, 64
 #: Lists a vector may join, and how much farther than the nearest one they may be; lists a query may read, at least, and how much farther (ratio).
-REPLICAS, CLOSURE, PROBES, LEAST_PROBES, RATIO = 4, 1.15, 160, 24, 1.35
+REPLICAS, CLOSURE, PROBES, LEAST_PROBES, RATIO = 4, 1.15, 200, 24, 1.2
 #: Neighbours of a centroid in the graph, entry points, breadth of the walk; rows of an index partition.
-DEGREE, ENTRIES, BREADTH, PART_ROWS = 24, 24, 192, 60_000
+DEGREE, ENTRIES, BREADTH, PART_ROWS = 24, 24, 224, 60_000
 
 
 def usable(rows: DataFrame, id_col: str, vec_col: str) -> DataFrame:

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import ann, bpe, htmltext, mixing, neardup, quality, substring, toxicity, urlfilter
+from . import ann, bpe, htmltext, lmscore, mixing, neardup, quality, substring, toxicity, urlfilter
 from .common import n_words, table
 
 BPE_FILE = "word_bpe_49k.json"
@@ -56,6 +56,13 @@ def op8_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring.drop_repeats(table(spark, sf_dir, "documents", "doc_id", "text")).select("doc_id", "n_sentences", "n_removed", "text")
 
 
+def op9_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    good = table(spark, sf_dir, "labels", "doc_id", "quality").filter("quality = 1")
+    found = lmscore.score(table(spark, sf_dir, "documents", "doc_id", "text"), good)
+    # the last bits of a mean depend on the order of sums
+    return found.select("doc_id", "n_tokens", *[F.round(c, 6).alias(c) for c in ("loss_target", "loss_background", "score")])
+
+
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "source", "text")
     sized = docs.select("doc_id", "source", n_words(F.col("text")).alias("words"))
@@ -64,8 +71,8 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_main_text, op2_url_filter, op3_ngram_join, op4_nearest, op5_bpe_roundtrip, op6_toxicity, op7_quality, op8_substring, op10_mixing)}
+    return {f.__name__: f for f in (op1_main_text, op2_url_filter, op3_ngram_join, op4_nearest, op5_bpe_roundtrip, op6_toxicity, op7_quality, op8_substring, op9_lm_score, op10_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_url_filter": urlfilter.oracle_sql()}
+    return {"op2_url_filter": urlfilter.oracle_sql(), "op9_lm_score": lmscore.oracle_sql()}
