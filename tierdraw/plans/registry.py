@@ -7,15 +7,17 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions import sql_surface
 from ..functions.draws import weighted_coordinate
 from ..operators import accuracy, base_compressors, cost, vectors
-from ..operators.level_probs import alpha_profile, cost_aware_probs, custom_probs, deltas, energy_share_probs, geometric_probs, residual_norm_probs, uniform_probs
+from ..operators.level_probs import cost_aware_probs, custom_probs, deltas, energy_share_probs, geometric_probs, residual_norm_probs, uniform_probs
 from ..operators.levels import CustomLevels, FixedPointLevels, FloatPointLevels, GridRoundingLevels, LevelFamily, SegmentLevels
 from ..operators.telescoping import enumerate_expectation, exact_variance, tier_estimate
 from ..oracle import sql
-from ..oracle.training import ROWS, run
+from ..oracle.training import run
 from ..sources.catalog import load
-from . import losses, relational, theory, trainers
+from ..streaming import online
+from . import losses, relational, theory, trainers, workloads
 
 K = ["vec_id"]
 Query = Callable[[SparkSession, str], DataFrame]
@@ -264,7 +266,7 @@ def queries() -> dict[str, Query]:
         "sgd_tier_adaptive_softmax_2steps": _softmax,
         "bounds_grid": _bounds, "worker_limit_grid": _limits, "heterogeneity_ls": _heterogeneity,
     }
-    return out | relational.QUERIES
+    return out | relational.QUERIES | workloads.QUERIES | online.QUERIES | sql_surface.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
@@ -304,4 +306,4 @@ def oracle_sql() -> dict[str, str]:
         **{f"{name}_ls_3steps": run(kind, 3, 0.5, 4, 1.0 if kind == "dasha" else 0.2, 5, 1 if kind in ("segment", "marina", "dasha") else 2) for name, kind in (("sgd_plain", "plain"), ("sgd_tier_fixed", "fixed"), ("sgd_tier_adaptive", "segment"), ("sgd_topk", "topk"), ("sgd_randk", "randk"), ("sgd_ef21m", "ef21m"), ("marina", "marina"), ("dasha", "dasha"))},
         "bounds_grid": _bounds_sql(), "worker_limit_grid": "SELECT n, round(pow(n, 0.5), 6) AS tier, round(pow(n, 1.0 / 3), 6) AS feedback FROM (VALUES (1e4::DOUBLE), (1e6), (1e8)) v(n)", "heterogeneity_ls": _heterogeneity_sql(),
     }
-    return out | relational.ORACLES
+    return out | relational.ORACLES | online.ORACLES | sql_surface.ORACLES
