@@ -111,7 +111,7 @@ def mix_copies(docs: DataFrame, id_col: str = "doc_id", source_col: str = "sourc
     base = docs.select(*[F.col(f"`{c}`").alias(f"d{k}") for k, c in enumerate(names)])
     at = {c: f"d{k}" for k, c in enumerate(names)}
     base = base.withColumn("size", F.coalesce(F.col(at[size_col]).cast("long"), F.lit(0)) if size_col else n_words(F.col(at["text"])))
-    base = base.withColumn("source", F.col(at[source_col]))
+    base = cut(base.withColumn("source", F.col(at[source_col])))  # sizes are counted once
     targets = source_targets(base.select("source", "size"), weights, cap).withColumnRenamed("source", "t_source")
     targets = targets.withColumn("ratio", F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0)))
     rows = base.join(targets, F.col("source").eqNullSafe(F.col("t_source")), "left").drop("t_source")
@@ -156,6 +156,18 @@ def _rounded(rows: DataFrame, seed: int) -> DataFrame:
     return out.withColumn("copies", F.col("whole") + F.round("mix_p").cast("bigint")).drop("whole", "mix_p", "mix_open")
 
 
-def take_copies(mixed: DataFrame, columns: Sequence[str]) -> DataFrame:
-    """The mixture itself: every row as often as it is taken."""
-    return mixed.filter(F.col("mix_copies") > 0).withColumn("mix_copy", F.explode(F.sequence(F.lit(1), F.col("mix_copies").cast("int")))).select(*columns)
+def mixture(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights: Sequence[float] = (5, 2, 1), cap: float = 3.0, seed: int = 42) -> DataFrame:
+    """The mixture itself: the columns of ``docs``, every row as often as it is taken.
+
+    Only ids, sources and sizes go through the rounding; texts are moved once, to meet their copies. Equal rows pool their copies on one of them.
+    """
+    names = docs.columns
+    rows = docs.select(*[F.col(f"`{c}`").alias(f"d{k}") for k, c in enumerate(names)])
+    at = {c: F.col(f"d{k}") for k, c in enumerate(names)}
+    rows = rows.withColumn("k1", F.coalesce(at[id_col].cast("string"), F.lit(""))).withColumn("k2", F.xxhash64(at[source_col], at[text_col]))
+    narrow = rows.select("k1", "k2", at[source_col].alias("source"), n_words(at[text_col]).alias("words"))
+    mixed = mix_copies(narrow.withColumn("k", F.xxhash64("k1", "k2")), "k", "source", "words", weights, cap, seed)
+    copies = mixed.groupBy("k1", "k2").agg(F.sum("mix_copies").alias("copies")).filter("copies > 0")
+    first = rows.withColumn("rn", F.row_number().over(Window.partitionBy("k1", "k2").orderBy(F.lit(1)))).filter("rn = 1").drop("rn")
+    out = first.join(copies, ["k1", "k2"]).withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))))
+    return out.select(*[F.col(f"d{k}").alias(c) for k, c in enumerate(names)])
