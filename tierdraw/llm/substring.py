@@ -12,8 +12,8 @@ from pyspark.sql import functions as F
 
 from .common import WORD_RE, cut
 
-#: Sentences of a run, least words in it, and from how many words on a sentence alone is a run.
-RUN, MIN_WORDS, LONG_SENTENCE = 2, 16, 40
+#: Least words of a run.
+MIN_WORDS = 20
 #: Pieces that lie end to end over a whole text: up to the marks that end a sentence or line, with the white space after them.
 SENTENCE_RE = r"[^.!?\n]*[.!?\n]+[ \t\n]*|[^.!?\n]+"
 
@@ -31,7 +31,8 @@ def bound(value: Column, body) -> Column:
 def runs(text: Column) -> Column:
     """Runs of a text: array of (h1, h2, first, last), with sentence numbers from 0.
 
-    Sentences without words are passed over. A run has RUN sentences and at least MIN_WORDS words; a sentence of LONG_SENTENCE words is one by itself.
+    Sentences without words are passed over. From every sentence, and back from every sentence, a run takes as many as make MIN_WORDS words: usually several,
+    and one where it is that long. A passage that repeats is thus covered from its first to its last sentence.
     """
 
     def of(parts: Column) -> Column:
@@ -42,15 +43,17 @@ def runs(text: Column) -> Column:
         small = F.transform(kept, lambda x: F.struct(x["i"].alias("i"), F.size(x["w"]).alias("n"), F.array_join(x["w"], " ").alias("t")))
 
         def spans(xs: Column) -> Column:
-            joined = lambda i: F.array_join(F.transform(F.slice(xs, i + 1, RUN), lambda x: x["t"]), " ")
-            words = lambda i: F.aggregate(F.slice(xs, i + 1, RUN), F.lit(0), lambda a, x: a + x["n"])
-            made = lambda t, a, b: F.struct(F.xxhash64(t).alias("h1"), F.xxhash64(F.lit(7), t).alias("h2"), a.alias("first"), b.alias("last"))
-            several = F.transform(
-                F.filter(F.sequence(F.lit(0), F.size(xs) - RUN), lambda i: words(i) >= MIN_WORDS),
-                lambda i: made(joined(i), xs[i]["i"], xs[i + RUN - 1]["i"]),
-            )
-            alone = F.transform(F.filter(xs, lambda x: x["n"] >= LONG_SENTENCE), lambda x: made(x["t"], x["i"], x["i"]))
-            return F.when(F.size(xs) >= RUN, F.concat(several, alone)).otherwise(alone)
+            # every sentence has a word, so no run is longer than MIN_WORDS sentences
+            add = lambda a, x: F.when(a["w"] >= MIN_WORDS, a).otherwise(F.struct((a["w"] + x["n"]).alias("w"), (a["k"] + 1).alias("k")))
+            reach = lambda near: F.aggregate(near, F.struct(F.lit(0).alias("w"), F.lit(0).alias("k")), add, lambda a: F.when(a["w"] >= MIN_WORDS, a["k"]).otherwise(0))
+            each = F.sequence(F.lit(0), F.size(xs) - 1)
+            ahead = F.transform(each, lambda i: F.struct(i.alias("at"), reach(F.slice(xs, i + 1, MIN_WORDS)).alias("k")))
+            start = lambda i: F.greatest(i - (MIN_WORDS - 1), F.lit(0))
+            back = F.transform(each, lambda i: bound(reach(F.reverse(F.slice(xs, start(i) + 1, i - start(i) + 1))), lambda k: F.struct((i - k + 1).alias("at"), k.alias("k"))))
+            found = F.array_distinct(F.filter(F.concat(ahead, back), lambda r: r["k"] > 0))
+            joined = lambda r: F.array_join(F.transform(F.slice(xs, r["at"] + 1, r["k"]), lambda x: x["t"]), " ")
+            made = lambda r: bound(joined(r), lambda t: F.struct(F.xxhash64(t).alias("h1"), F.xxhash64(F.lit(7), t).alias("h2"), xs[r["at"]]["i"].alias("first"), xs[r["at"] + r["k"] - 1]["i"].alias("last")))
+            return F.when(F.size(xs) > 0, F.transform(found, made)).otherwise(F.expr("cast(array() as array<struct<h1:bigint,h2:bigint,first:int,last:int>>)"))
 
         return bound(small, spans)
 

@@ -59,7 +59,7 @@ def swapped(words: set[str], key: int) -> set[str] | None:
     return out
 
 
-def fit(xs: Sequence[Sequence[int]], twins: Sequence[Sequence[int] | None], ys: Sequence[int], n_features: int, penalty: float = 1.0, l2: float = 2e-4, steps: int = 300) -> tuple[np.ndarray, float]:
+def fit(xs: Sequence[Sequence[int]], twins: Sequence[Sequence[int] | None], ys: Sequence[int], n_features: int, penalty: float = 1.0, l2: float = 2e-5, steps: int = 400) -> tuple[np.ndarray, float]:
     """Weights and bias of the logistic loss plus ``penalty`` times the mean squared difference of scores between twins."""
     y = np.asarray(ys, dtype=np.float64)
     sizes = np.array([len(x) for x in xs])
