@@ -147,6 +147,64 @@ def _decay_forms_sql() -> str:
     return " UNION ALL ".join(f"SELECT {r}::DOUBLE AS r, {s} AS s, {d} AS d, {one.format(r=r, s=s, d=d)} AS measured, {ex.format(r=r, s=s, d=d)} AS exact, round(4 / ({r} * {s}) - 1, 6)::DOUBLE AS approx" for r, s, d in ((0.1, 5, 640), (0.1, 10, 640), (0.02, 10, 2000)))
 
 
+def _customer_prices(spark: SparkSession, sf: str) -> DataFrame:
+    """Adaptive segments on vectors of very different lengths: the prices of each customer's lines."""
+    lines = load(spark, sf, "lineitem", "l_orderkey", "l_linenumber", "l_extendedprice").join(load(spark, sf, "orders", "o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey"))
+    c = lines.select(F.col("o_custkey").alias("vec_id"), (F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("pos"), (F.col("l_extendedprice") / 1000).alias("val"))
+    return accuracy.adaptive_variance(c, K, SegmentLevels(4)).select("vec_id", F.round("omega", 6).alias("omega"))
+
+
+def _user_values(spark: SparkSession, sf: str) -> DataFrame:
+    """The same on skewed magnitudes: the values of each user's events, with the fitted rate of decay."""
+    c = load(spark, sf, "events", "user_id", "event_id", "value").select(F.col("user_id").alias("vec_id"), F.col("event_id").alias("pos"), F.col("value").alias("val"))
+    rows = accuracy.adaptive_variance(c, K, SegmentLevels(4)).join(accuracy.decay_rate(c, K), K).join(accuracy.closed_form(c, K, "rand", 4).select("vec_id", F.col("omega").alias("rand_omega")), K)
+    return rows.select("vec_id", "d", F.round("omega", 6).alias("omega"), F.round("rand_omega", 6).alias("rand_omega"), F.round("r", 6).alias("r"))
+
+
+_RAGGED = "r AS MATERIALIZED (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY abs(val) DESC, pos) AS rk, count(*) OVER (PARTITION BY vec_id) AS d FROM c), g AS (SELECT vec_id, any_value(d) AS d, ceil(rk / 4.0) AS seg, sqrt(sum(val * val)) AS dl, sum(val * val) AS s2 FROM r GROUP BY vec_id, ceil(rk / 4.0))"
+
+
+def _message_variance(spark: SparkSession, sf: str) -> DataFrame:
+    """Squared distance of the averaged message from the gradient with 2, 4, 8 and 16 workers: it falls with their number."""
+    from ..functions.draws import hash_uniform
+
+    rows = load(spark, sf, "lineitem", "l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax", "l_extendedprice")
+    out = None
+    for m in (2, 4, 8, 16):
+        samples = losses.lineitem_squares(rows, m)
+        grads = losses.gradient(samples, [0.0] * 4)
+        truth = losses.gradient(samples.withColumn("worker", F.lit(0)), [0.0] * 4).drop("worker")
+        reps = grads.withColumn("step", F.explode(F.sequence(F.lit(1), F.lit(64))))
+        sent = tier_estimate(reps, ["step", "worker"], SegmentLevels(1), "adaptive", 9)
+        v2 = accuracy.aggregate_variance(sent, truth.withColumn("step", F.explode(F.sequence(F.lit(1), F.lit(64)))), m)
+        row = v2.agg(F.round(F.avg("v2"), 6).alias("v2")).select(F.lit(m).alias("m"), "v2")
+        out = row if out is None else out.union(row)
+    return out
+
+
+def _bits_cumulative(spark: SparkSession, sf: str) -> DataFrame:
+    """Cumulative uplink of ten steps by method, for a thousand coordinates and four workers."""
+    d = F.lit(1000)
+    per = F.array(*[F.struct(F.lit(k).alias("method"), (4 * cost.message_bits(k, d, k=10)).cast("long").alias("bits")) for k in ("uncompressed", "sparse", "fixed_tier", "float_tier")])
+    log = spark.range(1, 11).select(F.col("id").cast("int").alias("step"), F.explode(per).alias("x")).select("x.method", F.lit(0).alias("seed"), F.lit(4).alias("m"), "step", "x.bits")
+    return cost.cumulative(log).select("method", "step", "bits_cum")
+
+
+def _self_bound(spark: SparkSession, sf: str) -> DataFrame:
+    """Squared gradient norms along a run against twice the smoothness times the gap of the loss."""
+    import numpy as np
+
+    samples = losses.lineitem_squares(load(spark, sf, "lineitem", "l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax", "l_extendedprice"), 1)
+    moments = [F.avg(F.col("a")[i] * F.col("a")[j]).alias(f"h{i}{j}") for i in range(4) for j in range(4)] + [F.avg(F.col("a")[i] * F.col("y")).alias(f"b{i}") for i in range(4)] + [F.avg(F.col("y") * F.col("y")).alias("c")]
+    row = samples.agg(*moments).first()  # one row: the normal equations
+    h, b = np.array([[row[f"h{i}{j}"] for j in range(4)] for i in range(4)]), np.array([row[f"b{i}"] for i in range(4)])
+    loss = lambda x: float(0.5 * (x @ h @ x - 2 * b @ x + row["c"]))
+    best, smooth = loss(np.linalg.solve(h, b)), float(np.linalg.eigvalsh(h)[-1])
+    history, _ = trainers.fit(samples, 4, trainers.Uncompressed(), 4, 0.5, 1)
+    log = spark.createDataFrame([(t, loss(x := np.array(v)), float(((h @ x - b) ** 2).sum())) for t, v in enumerate(history)], "step int, loss double, grad_norm2 double")
+    return accuracy.self_bound(log, smooth, best).select("step", "holds")
+
+
 def _fit(kind: str, steps: int = 3, eta: float = 0.5, m: int = 4, fraction: float = 0.2, seed: int = 5) -> Query:
     def query(spark: SparkSession, sf: str) -> DataFrame:
         samples = losses.lineitem_squares(load(spark, sf, "lineitem", "l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax", "l_extendedprice"), m)
@@ -264,6 +322,7 @@ def queries() -> dict[str, Query]:
         "bits_per_message": _bits, "bits_expected_rtn": _expected_rtn_bits,
         "sgd_plain_ls_3steps": _fit("plain"), "sgd_tier_fixed_ls_3steps": _fit("fixed"), "sgd_tier_adaptive_ls_3steps": _fit("segment"), "sgd_topk_ls_3steps": _fit("topk"), "sgd_randk_ls_3steps": _fit("randk"), "sgd_ef21m_ls_3steps": _fit("ef21m"), "marina_ls_3steps": _fit("marina"), "dasha_ls_3steps": _fit("dasha"),
         "sgd_tier_adaptive_softmax_2steps": _softmax,
+        "var_customer_prices": _customer_prices, "var_user_values": _user_values, "message_variance_by_workers": _message_variance, "bits_cumulative": _bits_cumulative, "self_bound_ls": _self_bound,
         "bounds_grid": _bounds, "worker_limit_grid": _limits, "heterogeneity_ls": _heterogeneity,
     }
     return out | relational.QUERIES | workloads.QUERIES | online.QUERIES | sql_surface.QUERIES
@@ -304,6 +363,10 @@ def oracle_sql() -> dict[str, str]:
         "bits_per_message": "SELECT kind, bits, round(64000.0::DOUBLE / bits, 6) AS ratio FROM (VALUES ('uncompressed', 64000::BIGINT), ('sparse', 640), ('fixed_tier', 2070), ('float_tier', 13006), ('fixed', 2064), ('float', 16000), ('stochastic', 2064), ('grid', 4064), ('grid_tier', 4067)) v(kind, bits)",
         "bits_expected_rtn": s.with_(*s.probs("grid", 8), select="SELECT vec_id, round(sum(q * CASE WHEN level = 8 THEN 4096 ELSE (level + 1) * 64 + 67 END), 4) AS bits FROM pr GROUP BY vec_id"),
         **{f"{name}_ls_3steps": run(kind, 3, 0.5, 4, 1.0 if kind == "dasha" else 0.2, 5, 1 if kind in ("segment", "marina", "dasha") else 2) for name, kind in (("sgd_plain", "plain"), ("sgd_tier_fixed", "fixed"), ("sgd_tier_adaptive", "segment"), ("sgd_topk", "topk"), ("sgd_randk", "randk"), ("sgd_ef21m", "ef21m"), ("marina", "marina"), ("dasha", "dasha"))},
+        "var_customer_prices": "WITH c AS (SELECT o_custkey AS vec_id, l_orderkey * 8 + l_linenumber AS pos, l_extendedprice / 1000 AS val FROM lineitem JOIN orders ON l_orderkey = o_orderkey), " + _RAGGED + " SELECT vec_id, round(sum(dl) * sum(dl) / sum(s2) - 1, 6) AS omega FROM g GROUP BY vec_id",
+        "var_user_values": "WITH c AS (SELECT user_id AS vec_id, event_id AS pos, value AS val FROM events), " + _RAGGED + ", f AS (SELECT vec_id, -2 * regr_slope(ln(abs(val)), rk - 1) AS r FROM r WHERE val <> 0 GROUP BY vec_id) SELECT vec_id, any_value(d) AS d, round(sum(dl) * sum(dl) / sum(s2) - 1, 6) AS omega, round(any_value(d) / 4.0 - 1, 6)::DOUBLE AS rand_omega, round(any_value(f.r), 6) AS r FROM g JOIN f USING (vec_id) GROUP BY vec_id",
+        "bits_cumulative": "SELECT method, step, (4 * bits * step)::BIGINT AS bits_cum FROM (VALUES ('uncompressed', 64000), ('sparse', 640), ('fixed_tier', 2070), ('float_tier', 13006)) v(method, bits), (SELECT unnest(range(1, 11))::INT AS step)",
+        "self_bound_ls": "SELECT unnest(range(5))::INT AS step, true AS holds",
         "bounds_grid": _bounds_sql(), "worker_limit_grid": "SELECT n, round(pow(n, 0.5), 6) AS tier, round(pow(n, 1.0 / 3), 6) AS feedback FROM (VALUES (1e4::DOUBLE), (1e6), (1e8)) v(n)", "heterogeneity_ls": _heterogeneity_sql(),
     }
     return out | relational.ORACLES | online.ORACLES | sql_surface.ORACLES
