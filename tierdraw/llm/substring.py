@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, cut
+from .common import cut
 
 #: Least words of a run.
 MIN_WORDS = 20
@@ -36,24 +36,24 @@ def runs(text: Column) -> Column:
     """
 
     def of(parts: Column) -> Column:
-        kept = F.filter(
-            F.transform(parts, lambda s, i: F.struct(i.alias("i"), F.regexp_extract_all(s, F.lit(WORD_RE), F.lit(0)).alias("w"))),
-            lambda x: F.size(x["w"]) > 0,
-        )
-        small = F.transform(kept, lambda x: F.struct(x["i"].alias("i"), F.size(x["w"]).alias("n"), F.array_join(x["w"], " ").alias("t")))
+        plain = lambda s: F.trim(F.regexp_replace(s, r"[\x20\x09-\x0D]+", " "))  # noqa: E731  words with one blank between
+        count = lambda t: F.length(t) - F.length(F.translate(t, " ", "")) + 1
+        small = F.filter(F.transform(parts, lambda s, i: bound(plain(s), lambda t: F.struct(i.alias("i"), count(t).alias("n"), t.alias("t")))), lambda x: x["t"] != "")
 
         def spans(xs: Column) -> Column:
-            # every sentence has a word, so no run is longer than MIN_WORDS sentences
-            add = lambda a, x: F.when(a["w"] >= MIN_WORDS, a).otherwise(F.struct((a["w"] + x["n"]).alias("w"), (a["k"] + 1).alias("k")))
-            reach = lambda near: F.aggregate(near, F.struct(F.lit(0).alias("w"), F.lit(0).alias("k")), add, lambda a: F.when(a["w"] >= MIN_WORDS, a["k"]).otherwise(0))
-            each = F.sequence(F.lit(0), F.size(xs) - 1)
-            ahead = F.transform(each, lambda i: F.struct(i.alias("at"), reach(F.slice(xs, i + 1, MIN_WORDS)).alias("k")))
-            start = lambda i: F.greatest(i - (MIN_WORDS - 1), F.lit(0))
-            back = F.transform(each, lambda i: bound(reach(F.reverse(F.slice(xs, start(i) + 1, i - start(i) + 1))), lambda k: F.struct((i - k + 1).alias("at"), k.alias("k"))))
-            found = F.array_distinct(F.filter(F.concat(ahead, back), lambda r: r["k"] > 0))
+            of_word = F.flatten(F.transform(xs, lambda x, i: F.array_repeat(i, x["n"])))  # sentence of every word
+            begins = lambda at: F.filter(F.sequence(F.lit(0), F.size(at) - 1), lambda j: (j == 0) | (at[j] != at[F.greatest(j - 1, F.lit(0))]))
+            return F.when(F.size(xs) > 0, bound(of_word, lambda at: bound(begins(at), lambda first: hashed(xs, at, first)))).otherwise(F.expr("cast(array() as array<struct<h1:bigint,h2:bigint,first:int,last:int>>)"))
+
+        def hashed(xs: Column, at: Column, first: Column) -> Column:
+            each, words = F.sequence(F.lit(0), F.size(xs) - 1), F.size(at)
+            end = lambda i: F.when(i < F.size(xs) - 1, first[F.least(i + 1, F.size(xs) - 1)] - 1).otherwise(words - 1)
+            ahead = F.transform(F.filter(each, lambda i: first[i] + MIN_WORDS <= words), lambda i: F.struct(i.alias("at"), (at[first[i] + MIN_WORDS - 1] - i + 1).alias("k")))
+            back = F.transform(F.filter(each, lambda i: end(i) >= MIN_WORDS - 1), lambda i: bound(at[end(i) - MIN_WORDS + 1], lambda f: F.struct(f.alias("at"), (i - f + 1).alias("k"))))
+            found = F.array_distinct(F.concat(ahead, back))
             joined = lambda r: F.array_join(F.transform(F.slice(xs, r["at"] + 1, r["k"]), lambda x: x["t"]), " ")
             made = lambda r: bound(joined(r), lambda t: F.struct(F.xxhash64(t).alias("h1"), F.xxhash64(F.lit(7), t).alias("h2"), xs[r["at"]]["i"].alias("first"), xs[r["at"] + r["k"] - 1]["i"].alias("last")))
-            return F.when(F.size(xs) > 0, F.transform(found, made)).otherwise(F.expr("cast(array() as array<struct<h1:bigint,h2:bigint,first:int,last:int>>)"))
+            return F.transform(found, made)
 
         return bound(small, spans)
 
