@@ -48,10 +48,14 @@ def runs(text: Column) -> Column:
         def hashed(xs: Column, at: Column, first: Column) -> Column:
             each, words = F.sequence(F.lit(0), F.size(xs) - 1), F.size(at)
             end = lambda i: F.when(i < F.size(xs) - 1, first[F.least(i + 1, F.size(xs) - 1)] - 1).otherwise(words - 1)
-            ahead = F.transform(F.filter(each, lambda i: first[i] + MIN_WORDS <= words), lambda i: F.struct(i.alias("at"), (at[first[i] + MIN_WORDS - 1] - i + 1).alias("k")))
-            back = F.transform(F.filter(each, lambda i: end(i) >= MIN_WORDS - 1), lambda i: bound(at[end(i) - MIN_WORDS + 1], lambda f: F.struct(f.alias("at"), (i - f + 1).alias("k"))))
-            found = F.array_distinct(F.concat(ahead, back))
-            joined = lambda r: F.array_join(F.transform(F.slice(xs, r["at"] + 1, r["k"]), lambda x: x["t"]), " ")
+            # (first, sentences) as one number: distinct structures would be compared pair by pair
+            code = lambda f, n: F.shiftleft(f.cast("long"), 8) + n  # noqa: E731  no run has more than MIN_WORDS sentences
+            ahead = F.transform(F.filter(each, lambda i: first[i] + MIN_WORDS <= words), lambda i: code(i, at[first[i] + MIN_WORDS - 1] - i + 1))
+            back = F.transform(F.filter(each, lambda i: end(i) >= MIN_WORDS - 1), lambda i: bound(at[end(i) - MIN_WORDS + 1], lambda f: code(f, i - f + 1)))
+            split = lambda c: F.struct(F.shiftright(c, 8).cast("int").alias("at"), (c % 256).cast("int").alias("k"))
+            found = F.transform(F.array_distinct(F.concat(ahead, back)), split)
+            # not slice(), which copies the whole array each time
+            joined = lambda r: F.array_join(F.transform(F.sequence(r["at"], r["at"] + r["k"] - 1), lambda j: xs[j]["t"]), " ")
             made = lambda r: bound(joined(r), lambda t: F.struct(F.xxhash64(t).alias("h1"), F.xxhash64(F.lit(7), t).alias("h2"), xs[r["at"]]["i"].alias("first"), xs[r["at"] + r["k"] - 1]["i"].alias("last")))
             return F.transform(found, made)
 
