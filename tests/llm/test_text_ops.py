@@ -159,7 +159,7 @@ def test_lm_edges(spark, edge):
     assert lmscore.score(edge.select("doc_id", "text").limit(0), targets).count() == 0
 
 
-@pytest.mark.parametrize("name", ["op2_url_filter", "op9_lm_score"])
+@pytest.mark.parametrize("name", ["op2_url_filter", "op3_ngram_join", "op7_quality", "op8_substring", "op9_lm_score"])
 def test_sql(spark, name):
     import duckdb
 

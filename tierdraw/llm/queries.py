@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import ann, bpe, htmltext, lmscore, mixing, neardup, quality, substring, toxicity, urlfilter
+from . import ann, bpe, htmltext, lmscore, mixing, neardup, oracles, quality, substring, toxicity, urlfilter
 from .common import n_words, table
 
 BPE_FILE = "word_bpe_49k.json"
@@ -75,4 +75,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_url_filter": urlfilter.oracle_sql(), "op9_lm_score": lmscore.oracle_sql()}
+    return {"op2_url_filter": urlfilter.oracle_sql(), "op3_ngram_join": oracles.ngram_join(), "op7_quality": oracles.quality(), "op8_substring": oracles.substring(), "op9_lm_score": lmscore.oracle_sql()}

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import mix64
+from .common import cut, mix64
 
 #: Most labelled rows of each class that are fitted, and most features that are kept (documented bounds of the model).
 MAX_TOXIC, MAX_CLEAN, MAX_FEATURES = 4000, 8000, 8192
@@ -99,7 +99,7 @@ def labelled_sample(labels: DataFrame) -> DataFrame:
 
 def train(docs: DataFrame, labels: DataFrame, penalty: float = 1.0) -> tuple[dict[str, float], float]:
     """Weights by feature, and the bias. Without labels of both classes, no features and a bias that calls nothing toxic."""
-    picked = docs.select("doc_id", "text").join(F.broadcast(labelled_sample(labels)), "doc_id")  # at most MAX_TOXIC + MAX_CLEAN ids
+    picked = cut(docs.select("doc_id", "text").join(F.broadcast(labelled_sample(labels)), "doc_id"))  # at most MAX_TOXIC + MAX_CLEAN ids
     schema = "doc_id long, toxic int, feats array<string>, twin array<string>"
 
     def featured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
