@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
 #: Pieces whose ids a worker remembers, their longest, and pairs of its compatibility table.
-MEMO_PIECES, MEMO_CHARS, MEMO_PAIRS = 1_000_000, 64, 1_000_000
+MEMO_PIECES, MEMO_CHARS, MEMO_PAIRS = 250_000, 64, 250_000
 #: Characters that the file's \s stands for.
 SPACES = "\t\n\x0b\x0c\r \x85\xa0  -     　"
 

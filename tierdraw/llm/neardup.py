@@ -30,7 +30,7 @@ COORDS, SKETCH, LEVELS, BRANCHES = 128, 64, 4, 2
 RECALL, LEAF, SPLITS, BLOCK, BLOCK_GRAMS = 0.9999, 1000, 3, 1024, 4_000_000
 #: Share of sketch coordinates from which on two sets of a leaf are candidates; average agreement from which on a large leaf is one group.
 ALIKE, TIGHT = 0.58, 0.5
-MEMO_WORDS = 500_000
+MEMO_WORDS = 100_000
 U = np.uint64
 
 
