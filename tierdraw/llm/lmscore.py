@@ -2,15 +2,20 @@
 
 Two bigram models of one form and one vocabulary, of target documents and of all documents, score every token; a document's score is the mean difference of the losses
 (target minus background): the lower, the more it reads like the target. Counts run over all documents. Texts become arrays of two-byte word numbers once;
-what the models hold is bounded by the square of the vocabulary, so the tables of losses can travel with the tasks.
+what the models of ``score`` hold is bounded by the square of the vocabulary, so the tables of losses can travel with the tasks. ``score_all_words`` bounds nothing.
 """
 
 from __future__ import annotations
 
+from collections import defaultdict
 from collections.abc import Iterator
+from dataclasses import dataclass
+from hashlib import blake2b
+from itertools import count
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -109,6 +114,144 @@ def score(docs: DataFrame, targets: DataFrame, size: int = VOCABULARY) -> DataFr
     return out.withColumn("score", F.col("loss_target") - F.col("loss_background"))
 
 
+#: Characters of texts of a chunk, on average, and those whose keys a bucket counts.
+CHUNK_CHARS, BUCKET_CHARS = 8_000_000, 16_000_000
+PAIR, WORD = 0, 1
+COUNTS = {PAIR: ("t", "b"), WORD: ("t", "b", "before_t", "before_b")}
+BLOCK = pa.schema([("kind", pa.int32()), ("bucket", pa.int32()), ("chunk", pa.int32()), ("n", pa.int32()), ("keys", pa.binary()), *[(c, pa.binary()) for c in COUNTS[WORD]]])
+SUMS = pa.schema([*[f for f in BLOCK if f.name != "keys"], *[(c, pa.int64()) for c in ("words", "all_t", "all_b")]])
+
+
+def _mix(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """64-bit hashes of pairs of 64-bit numbers."""
+    x = a * np.uint64(0x9E3779B97F4A7C15) + b * np.uint64(0xC2B2AE3D27D4EB4F)
+    for s, k in ((32, 0xD6E8FEB86659FD93), (29, 0xFF51AFD7ED558CCD)):
+        x = (x ^ (x >> np.uint64(s))) * np.uint64(k)
+    return x ^ (x >> np.uint64(32))
+
+
+@dataclass
+class Chunk:
+    """Tokens of some texts: the text of each, sorted hashes of the distinct bigrams, and of the words and the mark, and each token's places in them."""
+
+    sizes: np.ndarray
+    doc: np.ndarray
+    pairs: np.ndarray
+    words: np.ndarray
+    pair_at: np.ndarray
+    word_at: np.ndarray
+    before_at: np.ndarray
+
+    @classmethod
+    def of(cls, texts: pa.ChunkedArray) -> Chunk:
+        ids: defaultdict = defaultdict(count().__next__)
+        parts = [np.fromiter(map(ids.__getitem__, (t.as_py() or "").encode().split()), np.int32) for t in texts]
+        sizes = np.array([len(p) for p in parts], np.int64)
+        hashes = np.frombuffer(b"".join(blake2b(w, digest_size=8).digest() for w in [*ids, b""]), "<u8")  # the mark is the empty word
+        order = np.argsort(hashes, kind="stable")
+        back = np.empty(len(hashes), np.int64)
+        back[order] = np.arange(len(hashes))
+        words, mark = hashes[order], back[len(ids)]
+        word = back[np.concatenate([np.zeros(0, np.int32), *parts])]
+        before = np.concatenate([[mark], word])[:-1]
+        before[(np.cumsum(sizes) - sizes)[sizes > 0]] = mark
+        code, at = np.unique(before * len(words) + word, return_inverse=True)
+        pairs = _mix(words[code // len(words)], words[code % len(words)])
+        order = np.argsort(pairs, kind="stable")
+        back = np.empty(len(pairs), np.int64)
+        back[order] = np.arange(len(pairs))
+        return cls(sizes, np.repeat(np.arange(len(sizes)), sizes), pairs[order], words, back[at], word, before)
+
+    def counts(self, flags: np.ndarray) -> dict[int, list[np.ndarray]]:
+        """By kind what COUNTS names; ``flags``: whether each text is a target."""
+        w = flags[self.doc].astype(float)
+        pairs, words = len(self.pairs), len(self.words)
+        add = lambda at, n: [np.bincount(at, w, n), np.bincount(at, minlength=n)]
+        return {PAIR: add(self.pair_at, pairs), WORD: add(self.word_at, words) + add(self.before_at, words)}
+
+
+def _packed(x: np.ndarray) -> bytes:
+    """Whole numbers, their bytes ordered by value so that those that are zero shrink."""
+    return pa.compress(x.astype("<u8").view(np.uint8).reshape(-1, 8).T.tobytes(), codec="zstd", asbytes=True)
+
+
+def _unpacked(raw: bytes, n: int) -> np.ndarray:
+    return np.frombuffer(pa.decompress(raw, 8 * n, codec="zstd", asbytes=True), np.uint8).reshape(8, n).T.copy().view("<u8").ravel()
+
+
+def _joined(table: pa.Table, name: str) -> np.ndarray:
+    """Numbers of all rows of a column of packed counts, one after the other."""
+    return np.concatenate([np.zeros(0), *[_unpacked(x, n) for x, n in zip(table[name].to_pylist(), table["n"].to_pylist(), strict=True) if n]])
+
+
+def score_all_words(docs: DataFrame, targets: DataFrame, backoff: float = BACKOFF) -> DataFrame:
+    """As ``score``, with every word of the texts in the vocabulary: what the models hold grows with the texts and stays in distributed tables.
+
+    Texts are dealt into chunks. A chunk sends the counts of its distinct bigrams and words, keyed by 64-bit hashes, to buckets of keys; buckets add them up and
+    send the sums back in the order of the chunk's keys, so keys travel once. A chunk's keys and their order do not depend on the order of its rows. Every bucket
+    of words tells every chunk how many words and tokens it counted: nothing is gathered on the driver.
+    """
+    n_chars = docs.agg(F.sum(F.length("text"))).first()[0] or 0
+    n_chunks, n_buckets = (max(1, -(-n_chars // n)) for n in (CHUNK_CHARS, BUCKET_CHARS))
+    home = lambda c: F.pmod(F.xxhash64(c), F.lit(n_chunks)).cast("int")
+    rows = docs.select(F.col("doc_id").cast("long"), "text").withColumn("chunk", F.when(F.col("doc_id").isNull(), home("text")).otherwise(home("doc_id")))
+    wanted = targets.select(F.col("doc_id").cast("long")).filter("doc_id is not null").withColumn("chunk", home("doc_id"))
+
+    def counted(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
+        chunk, out = Chunk.of(left["text"]), []
+        flags = pc.fill_null(pc.is_in(left["doc_id"], right["doc_id"].combine_chunks()), False).to_numpy()
+        counts = chunk.counts(flags)
+        for kind, keys in ((PAIR, chunk.pairs), (WORD, chunk.words)):
+            bucket = ((keys >> np.uint64(32)) * np.uint64(n_buckets) >> np.uint64(32)).astype(np.int64)
+            for k, lo, hi in zip(*_runs(bucket), strict=True):
+                row = {"kind": kind, "bucket": k, "chunk": key[0].as_py(), "n": hi - lo, "keys": _packed(np.diff(keys[lo:hi], prepend=np.uint64(0)))}
+                out.append(row | {c: _packed(x[lo:hi]) for c, x in zip(COUNTS[kind], counts[kind], strict=True)})
+        return pa.Table.from_pylist(out, schema=BLOCK)
+
+    def summed(key: tuple, table: pa.Table) -> pa.Table:
+        kind, bucket = (k.as_py() for k in key)
+        sizes, chunks = table["n"].to_pylist(), table["chunk"].to_pylist()
+        steps = [_unpacked(x, n) for x, n in zip(table["keys"].to_pylist(), sizes, strict=True)]
+        keys, at = np.unique(np.concatenate([np.cumsum(x, dtype=np.uint64) for x in steps]), return_inverse=True)
+        out = [{"kind": kind, "bucket": bucket, "chunk": c, "n": n} for c, n in zip(chunks, sizes, strict=True)]
+        told = {}
+        for name in COUNTS[kind]:
+            total = np.bincount(at, _joined(table, name), len(keys))
+            for row, x in zip(out, np.split(total[at], np.cumsum(sizes)[:-1]), strict=True):
+                row[name] = _packed(x)
+            if kind == WORD and name in ("t", "b"):
+                told["all_" + name] = int(total.sum())
+            if kind == WORD and name == "b":
+                told["words"] = int((total > 0).sum())  # the mark is no word
+        if kind == WORD:
+            out += [{"kind": kind, "bucket": bucket, "chunk": c, "n": 0} for c in set(range(n_chunks)) - set(chunks)]
+        return pa.Table.from_pylist([row | told for row in out], schema=SUMS)
+
+    def scored(left: pa.Table, right: pa.Table) -> pa.Table:
+        chunk, losses = Chunk.of(left["text"]), []
+        if left.num_rows:
+            pairs, words = (right.filter(pc.equal(right["kind"], kind)).sort_by("bucket") for kind in (PAIR, WORD))
+            for c in ("t", "b"):
+                whole = sum(words["all_" + c].to_pylist()) + sum(words["words"].to_pylist()) + 1  # one for every word and one for unknown ones, as score() has
+                p = (_joined(words, c) + 1) / whole
+                loss = -np.log((_joined(pairs, c)[chunk.pair_at] + backoff * p[chunk.word_at]) / (_joined(words, "before_" + c)[chunk.before_at] + backoff))
+                losses.append(np.bincount(chunk.doc, loss, len(chunk.sizes)) / np.maximum(chunk.sizes, 1))
+        t, b = losses or [np.zeros(0)] * 2
+        return pa.table({"doc_id": left["doc_id"].combine_chunks(), "n_tokens": chunk.sizes, "loss_target": t, "loss_background": b})
+
+    numbers, blobs = "kind int, bucket int, chunk int, n int", ", ".join(f"{c} binary" for c in COUNTS[WORD])
+    blocks = rows.groupBy("chunk").cogroup(wanted.groupBy("chunk")).applyInArrow(counted, f"{numbers}, keys binary, {blobs}")
+    sums = blocks.groupBy("kind", "bucket").applyInArrow(summed, f"{numbers}, {blobs}, words long, all_t long, all_b long")
+    out = rows.groupBy("chunk").cogroup(sums.groupBy("chunk")).applyInArrow(scored, "doc_id long, n_tokens long, loss_target double, loss_background double")
+    return out.withColumn("score", F.col("loss_target") - F.col("loss_background"))
+
+
+def _runs(values: np.ndarray) -> tuple[list, list, list]:
+    """Values, starts and ends of runs of equal values."""
+    starts = np.flatnonzero(np.diff(values, prepend=-1))
+    return values[starts].tolist(), starts.tolist(), np.append(starts, len(values))[1:].tolist()
+
+
 def oracle_sql(size: int = VOCABULARY, backoff: float = BACKOFF) -> str:
     """The query over ``documents`` with target labels.quality = 1, in DuckDB's SQL, rounded to six digits."""
     return f"""

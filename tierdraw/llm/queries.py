@@ -63,6 +63,12 @@ def op9_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_tokens", *[F.round(c, 6).alias(c) for c in ("loss_target", "loss_background", "score")])
 
 
+def op9_lm_score_all_words(spark: SparkSession, sf_dir: str) -> DataFrame:
+    good = table(spark, sf_dir, "labels", "doc_id", "quality").filter("quality = 1")
+    found = lmscore.score_all_words(table(spark, sf_dir, "documents", "doc_id", "text"), good)
+    return found.select("doc_id", "n_tokens", *[F.round(c, 6).alias(c) for c in ("loss_target", "loss_background", "score")])
+
+
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "source", "text")
     sized = docs.select("doc_id", "source", n_words(F.col("text")).alias("words"))
@@ -71,8 +77,8 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_main_text, op2_url_filter, op3_ngram_join, op4_nearest, op5_bpe_roundtrip, op6_toxicity, op7_quality, op8_substring, op9_lm_score, op10_mixing)}
+    return {f.__name__: f for f in (op1_main_text, op2_url_filter, op3_ngram_join, op4_nearest, op5_bpe_roundtrip, op6_toxicity, op7_quality, op8_substring, op9_lm_score, op9_lm_score_all_words, op10_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_url_filter": urlfilter.oracle_sql(), "op3_ngram_join": oracles.ngram_join(), "op7_quality": oracles.quality(), "op8_substring": oracles.substring(), "op9_lm_score": lmscore.oracle_sql()}
+    return {"op2_url_filter": urlfilter.oracle_sql(), "op3_ngram_join": oracles.ngram_join(), "op7_quality": oracles.quality(), "op8_substring": oracles.substring(), "op9_lm_score": lmscore.oracle_sql(), "op9_lm_score_all_words": lmscore.oracle_sql(2**62)}
