@@ -6,9 +6,8 @@ from collections import Counter
 import duckdb
 import numpy as np
 import pytest
-from pyspark.sql import functions as F
 
-from tierdraw.llm import lmscore
+from tierdraw.llm import ann, lmscore
 from tierdraw.llm.queries import oracle_sql, queries
 
 SF = "/root/testdata/sf0.001"
@@ -52,3 +51,19 @@ def test_lm_all_words_sql(spark):
     want = sorted(con.sql(oracle_sql()[name]).select(cols).fetchall())
     got = sorted(map(tuple, queries()[name](spark, SF).select(*cols.split(", ")).collect()))
     assert got == want
+
+
+def test_ratio_alone_decides_what_is_read():
+    """With many lists within the ratio of the nearest one, a query reads all of them."""
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(6000, 32))
+    index = ann.build(x, float(np.sqrt((x * x).sum(axis=1).max())), 64_000, 50)
+    assert len(index.centroids) == 1000
+    q = index.lift(x[:50], True).astype(float)
+    far = np.sqrt(((q[:, None, :] - index.centroids[None].astype(float)) ** 2).sum(axis=2))
+    most = 0
+    for d, ls in zip(far, index.probes_of(x[:50]), strict=True):
+        sure = set(np.flatnonzero(d <= ann.RATIO * d.min() - 1e-4).tolist())
+        assert sure <= set(ls.tolist()) and (d[ls] <= ann.RATIO * d.min() + 1e-4).sum() >= len(ls) - ann.LEAST_PROBES
+        most = max(most, len(sure))
+    assert most > 200

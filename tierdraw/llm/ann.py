@@ -2,8 +2,8 @@
 
 Index: a bounded sample is split again and again into equal halves along the line between two far means; the means of the parts are the centroids. Every vector joins the
 list of its nearest centroid and, if it lies near a boundary, further lists whose centroids are almost as near and not hidden behind one it has already joined.
-Search: a graph of the centroids, held in memory, is walked best first; lists are read whose distance is within a ratio of the nearest one's; members are compared
-exactly in double precision. Largest inner products become least distances through one more component. Equal vectors are indexed once, with the few least ids that
+Vectors find their lists by a best-first walk of a graph of the centroids, held in memory. Search: every list is read whose distance is within a ratio of the nearest
+one's; members are compared exactly in double precision. Largest inner products become least distances through one more component. Equal vectors are indexed once, with the few least ids that
 any answer can need, so a vector that a third of all rows hold costs as much as any other.
 """
 
@@ -21,10 +21,10 @@ from .common import cut
 
 #: Bounds of the index: sampled vectors and their numbers, lists, members of a list aimed at.
 SAMPLE, SAMPLE_FLOATS, MAX_LISTS, LIST_SIZE = 20_000, 4_000_000, 4096, 64
-#: Lists a vector may join, and how much farther than the nearest one they may be; lists a query may read, at least, and how much farther (ratio).
-REPLICAS, CLOSURE, PROBES, LEAST_PROBES, RATIO = 4, 1.15, 200, 24, 1.2
-#: Neighbours of a centroid in the graph, entry points, breadth of the walk; rows of an index partition.
-DEGREE, ENTRIES, BREADTH, PART_ROWS = 24, 24, 224, 60_000
+#: Lists a vector may join, and how much farther than the nearest one they may be; lists a query reads at least, and how much farther others may be (ratio).
+REPLICAS, CLOSURE, LEAST_PROBES, RATIO = 4, 1.15, 24, 1.2
+#: Neighbours of a centroid in the graph, entry points; rows of an index partition.
+DEGREE, ENTRIES, PART_ROWS = 24, 24, 60_000
 
 
 def usable(rows: DataFrame, id_col: str, vec_col: str) -> DataFrame:
@@ -103,13 +103,13 @@ class Index:
         return out
 
     def probes_of(self, x: np.ndarray) -> list[np.ndarray]:
-        """Lists each query reads: those within a ratio of the nearest one's distance."""
-        ids, dist = self.walk(self.lift(x, True), max(BREADTH, PROBES))
+        """Lists each query reads: all within a ratio of the nearest one's distance, however many; a breadth of all lists compares every centroid."""
+        ids, dist = self.walk(self.lift(x, True), len(self.centroids))
         dist = np.sqrt(np.maximum(dist, 0))
         keep = dist <= RATIO * dist[:, :1] + 1e-12
         keep[:, :LEAST_PROBES] = True
         keep &= np.isfinite(dist)
-        return [ids[r][keep[r]][:PROBES] for r in range(len(x))]
+        return [ids[r][keep[r]] for r in range(len(x))]
 
 
 def halves(x: np.ndarray, parts: int, seed: int = 7) -> np.ndarray:
@@ -211,24 +211,25 @@ def search(rows: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "em
             x, q = _matrix(left.column("v").chunk(0), width), _matrix(right.column("v").chunk(0), width)
             lists, least = left.column("list").to_numpy(), np.array([i[0] for i in left.column("ids").to_pylist()])
             lh1, lh2 = left.column("h1").to_numpy(), left.column("h2").to_numpy()
-            order = np.argsort(lists, kind="stable")
-            bounds = {int(l): (a, b) for l, a, b in zip(*_runs(lists[order]), strict=True)}
             rh1, rh2 = right.column("h1").to_numpy(), right.column("h2").to_numpy()
+            # a vector of several lists counts once; all are multiplied with some queries at a time, and each query takes those of its lists
+            _, once, place = np.unique(lh1, return_index=True, return_inverse=True)
+            x, least, read = x[once], least[once], np.zeros(int(lists.max()) + 1, bool)
             for r, ls in enumerate(right.column("lists").to_pylist()):
-                at = [order[slice(*bounds[l])] for l in ls if l in bounds]
-                if not at:
-                    continue
-                rows_at = np.concatenate(at)
-                # a vector of several lists counts once
-                rows_at = rows_at[np.unique(lh1[rows_at], return_index=True)[1]] if len(at) > 1 else rows_at
-                s = x[rows_at] @ q[r]
-                best = _best(s, least[rows_at], k + 1)
+                if r % 64 == 0:
+                    products = q[r : r + 64] @ x.T
+                read[:] = False
+                read[[l for l in ls if l < len(read)]] = True
+                seen = np.zeros(len(once), bool)
+                seen[place[read[lists]]] = True
+                at = np.flatnonzero(seen)
+                best = at[_best(products[r % 64, at], least[at], k + 1)]
                 q1.append(np.full(len(best), rh1[r]))
                 q2.append(np.full(len(best), rh2[r]))
-                v1.append(lh1[rows_at[best]])
-                v2.append(lh2[rows_at[best]])
-                score.append(s[best])
-                out.append(rows_at[best])
+                v1.append(lh1[once[best]])
+                v2.append(lh2[once[best]])
+                score.append((x[best] * q[r]).sum(axis=1))
+                out.append(once[best])
         cat = lambda xs, t: np.concatenate(xs) if xs else np.zeros(0, t)
         ids = left.column("ids").combine_chunks().take(pa.array(cat(out, np.int64))) if out else pa.array([], pa.list_(pa.int64()))
         return pa.table({"q1": cat(q1, np.int64), "q2": cat(q2, np.int64), "v1": cat(v1, np.int64), "v2": cat(v2, np.int64), "score": cat(score, np.float64), "ids": ids})
@@ -245,11 +246,3 @@ def search(rows: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "em
     others = F.filter("near", lambda x: x["vec_id"] != F.col("query_id"))
     answers = asked.join(found, ["q1", "q2"]).select("query_id", F.posexplode(F.slice(others, 1, k)).alias("p", "x"))
     return answers.select("query_id", (F.col("p") + 1).cast("int").alias("rank"), "x.vec_id", "x.score")
-
-
-def _runs(sorted_values: np.ndarray) -> tuple[list, list, list]:
-    """Values, starts and ends of runs of equal values."""
-    if not len(sorted_values):
-        return [], [], []
-    starts = np.flatnonzero(np.concatenate([[True], sorted_values[1:] != sorted_values[:-1]]))
-    return sorted_values[starts].tolist(), starts.tolist(), [*starts[1:].tolist(), len(sorted_values)]
