@@ -176,11 +176,20 @@ def mlp_grad(x: np.ndarray, a: np.ndarray, y: np.ndarray, classes: int) -> np.nd
     return np.concatenate([g1.ravel(), np.concatenate([p.T @ h, p.sum(axis=0)[:, None]], axis=1).ravel()])
 
 
-def train(data: dict, method: str, k_frac: float, m: int, batch: int, seed: int, eta: float, steps: int, every: int = 5) -> list[tuple]:
-    """One run: (step, bits_cum, loss, acc, grad_norm2) every few steps. ``data``: a, y, ta, ty, classes, model ('softmax' or 'mlp')."""
+def judged(x: np.ndarray, a: np.ndarray, y: np.ndarray, classes: int, model: str) -> tuple[np.ndarray, np.ndarray]:
+    """Loss of each row, infinite where a score is not finite, and whether its class is found."""
+    z = (mlp_scores if model == "mlp" else softmax_scores)(x, a, classes)
+    with np.errstate(invalid="ignore", over="ignore"):
+        shift = z - z.max(axis=1, keepdims=True)
+        loss = np.log(np.exp(shift).sum(axis=1)) - shift[np.arange(len(z)), y]
+    return np.where(np.isfinite(z).all(axis=1), loss, np.inf), z.argmax(axis=1) == y
+
+
+def train(data: dict, method: str, k_frac: float, m: int, batch: int, seed: int, eta: float, steps: int, every: int = 5, models: list | None = None) -> list[tuple]:
+    """One run: (step, bits_cum, loss, acc, grad_norm2) every few steps. ``data``: a, y, ta, ty, classes, model ('softmax' or 'mlp'). ``models`` receives the models of these steps."""
     rng = np.random.default_rng(seed)
     a, y, classes = data["a"], data["y"], data["classes"]
-    grad, scores = (mlp_grad, mlp_scores) if data["model"] == "mlp" else (softmax_grad, softmax_scores)
+    grad = mlp_grad if data["model"] == "mlp" else softmax_grad
     n = HIDDEN * a.shape[1] + classes * (HIDDEN + 1) if data["model"] == "mlp" else classes * a.shape[1]
     x = rng.normal(0, 0.1, n) if data["model"] == "mlp" else np.zeros(n)
     factory = make(method, n, k_frac)
@@ -199,8 +208,8 @@ def train(data: dict, method: str, k_frac: float, m: int, batch: int, seed: int,
             bits += b
         x = x - eta * mean
         if step % every == 0 or step == steps:
-            z = scores(x, data["ta"], classes)
-            shift = z - z.max(axis=1, keepdims=True)
-            loss = float((np.log(np.exp(shift).sum(axis=1)) - shift[np.arange(len(z)), data["ty"]]).mean()) if np.isfinite(z).all() else float("inf")
-            out.append((step, bits, loss, float((z.argmax(axis=1) == data["ty"]).mean()), float(plain @ plain)))
+            losses, hits = judged(x, data["ta"], data["ty"], classes, data["model"])
+            out.append((step, bits, float(losses.mean()) if np.isfinite(losses).all() else float("inf"), float(hits.mean()), float(plain @ plain)))
+            if models is not None:
+                models.append(x)
     return out

@@ -1,14 +1,17 @@
 """The experiments on the given tables: many small runs as one Spark job, one group a configuration.
 
-The data of a run is a bounded sample (MAX_ROWS, the first by a hash of the key) that travels with the tasks; large models are trained by ``trainers`` instead.
+Runs are fitted, and their learning rates chosen, on a bounded sample (MAX_ROWS, the first by a hash of the key) that travels with the tasks; what they report is measured
+on all held-out rows of the table. Large models are trained by ``trainers`` instead.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from itertools import product
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,55 +20,105 @@ from ..sources.catalog import load
 from . import kernels
 from .losses import hashed_text
 
-#: Most rows of the experiments' data, share of test rows, learning rates that are tried, hashed features of text.
+#: Most rows that runs are fitted on, share of test rows, learning rates that are tried, hashed features of text.
 MAX_ROWS, TEST, RATES, TEXT_SIZE, CLASSES = 4000, 0.25, (0.5, 1.5, 5.0, 15.0, 40.0), 2**11, 10
-LOG = "method string, seed int, m int, k_frac double, eta double, step int, bits_cum long, loss double, acc double, grad_norm2 double"
 
 
-def _parts(a: np.ndarray, y: np.ndarray, classes: int, model: str) -> dict:
-    test = np.arange(len(y)) % round(1 / TEST) == 0
+def held_out(key: str):
+    """Rows that no run is fitted on, by a hash of the key."""
+    return F.pmod(F.xxhash64(F.lit("test"), F.col(key)), F.lit(round(1 / TEST))) == 0
+
+
+def _parts(a: np.ndarray, y: np.ndarray, test: np.ndarray, classes: int, model: str, rows: DataFrame, dense) -> dict:
     if test.all() or not test.any():
-        test = np.zeros(len(y), bool)
-        return {"a": a, "y": y, "ta": a, "ty": y, "classes": classes, "model": model}
-    return {"a": a[~test], "y": y[~test], "ta": a[test], "ty": y[test], "classes": classes, "model": model}
+        return {"a": a, "y": y, "ta": a, "ty": y, "classes": classes, "model": model, "rows": rows, "dense": dense}
+    return {"a": a[~test], "y": y[~test], "ta": a[test], "ty": y[test], "classes": classes, "model": model, "rows": rows.filter("test"), "dense": dense}
+
+
+def _image_dense(batch: pa.RecordBatch) -> np.ndarray:
+    a = np.stack(batch.column("f").to_numpy(zero_copy_only=False)).astype(float)
+    return np.concatenate([a, np.ones((len(a), 1))], axis=1)
+
+
+def _text_dense(batch: pa.RecordBatch) -> np.ndarray:
+    a, f = np.zeros((batch.num_rows, TEXT_SIZE + 1)), batch.column("f")
+    x = f.flatten()
+    a[np.repeat(np.arange(len(a)), f.value_lengths().to_numpy()), x.field("pos").to_numpy()] = x.field("v").to_numpy()
+    return a
+
+
+def _sample(rows: DataFrame, dense) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    got = rows.toArrow().combine_chunks()  # MAX_ROWS at most
+    batches = got.to_batches()
+    a = np.concatenate([dense(b) for b in batches])
+    return a, got["y"].to_numpy().astype(int), got["test"].to_numpy()
 
 
 def image_data(spark: SparkSession, sf: str, model: str = "softmax") -> dict:
     """Vectors of ``embeddings`` with the number of their largest of ten components as class: the given labels cannot be told from held-out vectors."""
     rows = load(spark, sf, "embeddings", "vec_id", "embedding").filter("size(embedding) >= 10")
-    got = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(MAX_ROWS).select("embedding").toPandas()
-    a = np.stack(got["embedding"].to_list()).astype(float)
-    return _parts(np.concatenate([a, np.ones((len(a), 1))], axis=1), a[:, :CLASSES].argmax(axis=1), CLASSES, model)
+    first = F.slice("embedding", 1, CLASSES)
+    rows = rows.select("vec_id", F.col("embedding").alias("f"), (F.array_position(first, F.array_max(first)) - 1).cast("int").alias("y"), F.coalesce(held_out("vec_id"), F.lit(False)).alias("test"))
+    picked = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(MAX_ROWS)
+    return _parts(*_sample(picked, _image_dense), CLASSES, model, rows, _image_dense)
 
 
 def text_data(spark: SparkSession, sf: str, task: str = "lang") -> dict:
     """Hashed words of ``documents``: is the language English, or the quality label."""
     docs = load(spark, sf, "documents", "doc_id", "text", "lang").filter("doc_id is not null")
     marks = docs.select("doc_id", (F.col("lang") == "en").cast("int").alias("y")) if task == "lang" else load(spark, sf, "labels", "doc_id", "quality").select("doc_id", F.col("quality").alias("y"))
-    picked = marks.filter("y is not null").orderBy(F.xxhash64("doc_id"), "doc_id").limit(MAX_ROWS)
-    rows = hashed_text(docs.join(F.broadcast(picked), "doc_id", "left_semi"), TEXT_SIZE).join(F.broadcast(picked), "doc_id").orderBy("doc_id").toPandas()  # MAX_ROWS at most
-    a = np.zeros((len(rows), TEXT_SIZE + 1))
-    for k, f in enumerate(rows["f"]):
-        for x in f:
-            a[k, x["pos"]] = x["v"]
-    return _parts(a, rows["y"].to_numpy(int), 2, "softmax")
+    marks = marks.filter("y is not null").withColumn("test", held_out("doc_id"))
+    picked = marks.orderBy(F.xxhash64("doc_id"), "doc_id").limit(MAX_ROWS)
+    sample = hashed_text(docs.join(F.broadcast(picked), "doc_id", "left_semi"), TEXT_SIZE).join(F.broadcast(picked), "doc_id").orderBy("doc_id")
+    return _parts(*_sample(sample, _text_dense), 2, "softmax", hashed_text(docs, TEXT_SIZE).join(marks, "doc_id"), _text_dense)
+
+
+def evaluate(data: dict, models: list[np.ndarray]) -> DataFrame:
+    """model (its number), loss, acc over all rows of ``data['rows']``: every task adds its rows up, for all models."""
+    classes, kind, dense = data["classes"], data["model"], data["dense"]
+    shared = data["rows"].sparkSession.sparkContext.broadcast(models)  # as many as the sweep has runs and logged steps, whatever the rows
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n, sums = 0, np.zeros((2, len(shared.value)))
+        for batch in batches:
+            for s in range(0, batch.num_rows, 1024):
+                b = batch.slice(s, 1024)
+                a, y = dense(b), b.column("y").to_numpy().astype(int)
+                n += len(y)
+                for k, x in enumerate(shared.value):
+                    loss, hits = kernels.judged(x, a, y, classes, kind)
+                    sums[:, k] += loss.sum(), hits.sum()
+        if n:
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(shared.value)), pa.int32()), pa.array(sums[0]), pa.array(sums[1]), pa.array(np.full(len(shared.value), n))], names=["model", "l", "h", "n"])
+
+    parts = data["rows"].select("f", "y").mapInArrow(run, "model int, l double, h double, n long")
+    return parts.groupBy("model").agg((F.sum("l") / F.sum("n")).alias("loss"), (F.sum("h") / F.sum("n")).alias("acc"))
 
 
 def sweep(spark: SparkSession, data: dict, configs: list[tuple[str, float, int, int, int]], steps: int) -> DataFrame:
-    """Run logs of configurations (method, k_frac, m, batch, seed); each run takes the learning rate with the least loss at its end."""
-    shared = spark.sparkContext.broadcast(data)
+    """Run logs of configurations (method, k_frac, m, batch, seed); each run takes the learning rate with the least loss at its end on the sample's held-out rows.
+
+    Runs are fitted on the sample; loss and acc of the logs are of all held-out rows.
+    """
+    shared = spark.sparkContext.broadcast({k: data[k] for k in ("a", "y", "ta", "ty", "classes", "model")})
 
     def one(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         out = []
         for r in pdf.itertuples():
-            runs = [(eta, kernels.train(shared.value, r.method, r.k_frac, r.m, r.batch, r.seed, eta, steps)) for eta in RATES]
-            eta, best = min(runs, key=lambda x: (not np.isfinite(x[1][-1][2]), x[1][-1][2]))
-            out += [(r.method, r.seed, r.m, r.k_frac, eta, *row) for row in best]
-        return pd.DataFrame(out, columns=["method", "seed", "m", "k_frac", "eta", "step", "bits_cum", "loss", "acc", "grad_norm2"])
+            runs = []
+            for eta in RATES:
+                kept: list[np.ndarray] = []
+                runs.append((eta, kernels.train(shared.value, r.method, r.k_frac, r.m, r.batch, r.seed, eta, steps, models=kept), kept))
+            eta, best, kept = min(runs, key=lambda x: (not np.isfinite(x[1][-1][2]), x[1][-1][2]))
+            out += [(r.method, r.seed, r.m, r.k_frac, eta, step, bits, norm, x.tobytes()) for (step, bits, _, _, norm), x in zip(best, kept, strict=True)]
+        return pd.DataFrame(out, columns=["method", "seed", "m", "k_frac", "eta", "step", "bits_cum", "grad_norm2", "x"])
 
     rows = [(k, *c) for k, c in enumerate(configs)]
     table = spark.createDataFrame(rows, "config int, method string, k_frac double, m int, batch int, seed int")
-    return table.repartition(len(rows), "config").groupBy("config").applyInPandas(one, LOG)
+    fitted = table.repartition(len(rows), "config").groupBy("config").applyInPandas(one, "method string, seed int, m int, k_frac double, eta double, step int, bits_cum long, grad_norm2 double, x binary").collect()
+    found = evaluate(data, [np.frombuffer(r["x"]) for r in fitted])
+    logs = spark.createDataFrame([(k, *r[:-1]) for k, r in enumerate(fitted)], "model int, method string, seed int, m int, k_frac double, eta double, step int, bits_cum long, grad_norm2 double")
+    return logs.join(found, "model").select("method", "seed", "m", "k_frac", "eta", "step", "bits_cum", "loss", "acc", "grad_norm2")
 
 
 def sparse_configs(fractions, m_batch, seeds: int) -> list:
