@@ -21,3 +21,23 @@ def test_sweep_reports_on_all_held_out_rows(spark, monkeypatch, load):
     loss, hits = kernels.judged(x[-1], whole["ta"], whole["ty"], whole["classes"], whole["model"])
     assert [len(r), r[0]["step"]] == [1, 5]
     assert r[0]["acc"] == pytest.approx(hits.mean()) and r[0]["loss"] == pytest.approx(float(np.mean(loss)))
+
+
+def test_registered_sweeps_are_whole(monkeypatch):
+    """Workers, fractions and five seeds of the published settings."""
+    seen = {}
+    for name in ("image_data", "text_data"):
+        monkeypatch.setattr(workloads, name, lambda *a: None)
+    monkeypatch.setattr(workloads.accuracy, "seed_summary", lambda log: log)
+    monkeypatch.setattr(workloads.accuracy, "speedup", lambda log: log)
+    monkeypatch.setattr(workloads.cost, "first_to_reach", lambda log, *a: log)
+    for name, query in workloads.QUERIES.items():
+        monkeypatch.setattr(workloads, "sweep", lambda spark, data, configs, steps, name=name: seen.update({name: configs}))
+        if name != "divergence_fixture":
+            query(None, SF)
+    assert len(seen) == 7
+    for configs in seen.values():
+        assert {c[2] for c in configs} == {4, 32} and {c[4] for c in configs} == set(range(5)) and len(set(configs)) == len(configs)
+    fractions = {name: {c[1] for c in seen[name] if c[0] != "uncompressed"} for name in ("curve_text_sparse", "curve_image_sparse")}
+    assert fractions == {"curve_text_sparse": {0.01, 0.05, 0.1, 0.5}, "curve_image_sparse": {0.001, 0.005, 0.01, 0.05}}
+    assert [len(seen[n]) for n in ("curve_text_sparse", "curve_image_sparse", "curve_text_rounding")] == [170, 170, 60]

@@ -126,9 +126,9 @@ def sparse_configs(fractions, m_batch, seeds: int) -> list:
     return kept + [("uncompressed", 1.0, m, b, s) for (m, b), s in product(m_batch, range(seeds))]
 
 
-def curve_text_sparse(spark: SparkSession, sf: str, seeds: int = 2, steps: int = 30) -> DataFrame:
-    """Accuracy over bits and over steps of sparse messages, text task (full settings: k 1, 5, 10, 50 %, five seeds)."""
-    return sweep(spark, text_data(spark, sf), sparse_configs((0.01, 0.1), ((4, 16), (32, 16)), seeds), steps)
+def curve_text_sparse(spark: SparkSession, sf: str, seeds: int = 5, steps: int = 30) -> DataFrame:
+    """Accuracy over bits and over steps of sparse messages, text task."""
+    return sweep(spark, text_data(spark, sf), sparse_configs((0.01, 0.05, 0.1, 0.5), ((4, 16), (32, 16)), seeds), steps)
 
 
 def curve_image_quantized(spark: SparkSession, sf: str, seeds: int = 5, steps: int = 40) -> DataFrame:
@@ -137,29 +137,29 @@ def curve_image_quantized(spark: SparkSession, sf: str, seeds: int = 5, steps: i
     return sweep(spark, image_data(spark, sf), configs, steps)
 
 
-def curve_image_sparse(spark: SparkSession, sf: str, seeds: int = 1, steps: int = 20) -> DataFrame:
+def curve_image_sparse(spark: SparkSession, sf: str, seeds: int = 5, steps: int = 20) -> DataFrame:
     """Sparse messages, image task with a hidden layer."""
-    return sweep(spark, image_data(spark, sf, "mlp"), sparse_configs((0.01, 0.05), ((4, 128),), seeds), steps)
+    return sweep(spark, image_data(spark, sf, "mlp"), sparse_configs((0.001, 0.005, 0.01, 0.05), ((4, 128), (32, 64)), seeds), steps)
 
 
-def curve_text_rounding(spark: SparkSession, sf: str, seeds: int = 2, steps: int = 30) -> DataFrame:
+def curve_text_rounding(spark: SparkSession, sf: str, seeds: int = 5, steps: int = 30) -> DataFrame:
     """Rounding to nearest at 2, 4, 8, 16 bits against its level-sampled ladder and none, text task."""
-    configs = [(meth, 1.0, 4, 16, s) for meth, s in product(("tier_rtn", "rtn_2", "rtn_4", "rtn_8", "rtn_16", "uncompressed"), range(seeds))]
+    configs = [(meth, 1.0, m, 16, s) for meth, m, s in product(("tier_rtn", "rtn_2", "rtn_4", "rtn_8", "rtn_16", "uncompressed"), (4, 32), range(seeds))]
     return sweep(spark, text_data(spark, sf), configs, steps)
 
 
 def report_seed_summary(spark: SparkSession, sf: str) -> DataFrame:
-    return accuracy.seed_summary(curve_image_quantized(spark, sf, 3, 30))
+    return accuracy.seed_summary(curve_image_quantized(spark, sf, steps=30))
 
 
 def report_bits_to_accuracy(spark: SparkSession, sf: str) -> DataFrame:
     """Least bits at which runs reach an accuracy of one half."""
-    return cost.first_to_reach(curve_image_quantized(spark, sf, 3, 30), 0.5)
+    return cost.first_to_reach(curve_image_quantized(spark, sf, steps=30), 0.5)
 
 
 def report_speedup(spark: SparkSession, sf: str) -> DataFrame:
     """Steps to an accuracy with 4 and with 32 workers."""
-    return accuracy.speedup(cost.first_to_reach(curve_image_quantized(spark, sf, 3, 30), 0.5, "step"))
+    return accuracy.speedup(cost.first_to_reach(curve_image_quantized(spark, sf, steps=30), 0.5, "step"))
 
 
 def divergence(method: str, eta: float = 0.01, steps: int = 2000, seed: int = 0) -> float:
