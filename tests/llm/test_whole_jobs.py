@@ -7,7 +7,7 @@ import duckdb
 import numpy as np
 import pytest
 
-from tierdraw.llm import ann, lmscore
+from tierdraw.llm import ann, lmscore, toxicity
 from tierdraw.llm.queries import oracle_sql, queries
 
 SF = "/root/testdata/sf0.001"
@@ -67,3 +67,14 @@ def test_ratio_alone_decides_what_is_read():
         assert sure <= set(ls.tolist()) and (d[ls] <= ann.RATIO * d.min() + 1e-4).sum() >= len(ls) - ann.LEAST_PROBES
         most = max(most, len(sure))
     assert most > 200
+
+
+def test_bounds_of_the_sample_do_not_move_the_cutoff(spark, monkeypatch):
+    """A tenth of the labelled texts is toxic; so is what is said of a text without telling words, whichever bound cuts the sample."""
+    docs = spark.createDataFrame([(k, ("ab", "cd", "ef")[k % 3]) for k in range(800)], "doc_id long, text string")
+    labels = spark.createDataFrame([(k, int(k % 10 == 3)) for k in range(800)], "doc_id long, toxic int")
+    nothing = spark.createDataFrame([(1, "zzz")], "doc_id long, text string")
+    whole = toxicity.score(nothing, toxicity.train(docs, labels)).first()["tox_score"]
+    monkeypatch.setattr(toxicity, "MAX_TOXIC", 40)
+    monkeypatch.setattr(toxicity, "MAX_CLEAN", 40)
+    assert abs(toxicity.score(nothing, toxicity.train(docs, labels)).first()["tox_score"] - whole) < 0.05 and whole < 0.2

@@ -59,9 +59,13 @@ def swapped(words: set[str], key: int) -> set[str] | None:
     return out
 
 
-def fit(xs: Sequence[Sequence[int]], twins: Sequence[Sequence[int] | None], ys: Sequence[int], n_features: int, penalty: float = 1.0, l2: float = 2e-5, steps: int = 400) -> tuple[np.ndarray, float]:
-    """Weights and bias of the logistic loss plus ``penalty`` times the mean squared difference of scores between twins."""
+def fit(xs: Sequence[Sequence[int]], twins: Sequence[Sequence[int] | None], ys: Sequence[int], n_features: int, penalty: float = 1.0, l2: float = 2e-5, steps: int = 400, stands_for: tuple[float, float] = (1.0, 1.0)) -> tuple[np.ndarray, float]:
+    """Weights and bias of the logistic loss plus ``penalty`` times the mean squared difference of scores between twins.
+
+    ``stands_for``: how many labelled rows each row of class 0 and of class 1 stands for in the loss.
+    """
     y = np.asarray(ys, dtype=np.float64)
+    share = np.where(y > 0, stands_for[1], stands_for[0])
     sizes = np.array([len(x) for x in xs])
     row, col = np.repeat(np.arange(len(xs)), sizes), np.concatenate([np.asarray(x, dtype=np.int64) for x in xs] or [np.zeros(0, np.int64)])
     parts = []  # x minus its twin, as entries of +1 and -1
@@ -69,11 +73,11 @@ def fit(xs: Sequence[Sequence[int]], twins: Sequence[Sequence[int] | None], ys:
         parts += [(k, f, 1.0) for f in set(x) - set(t)] + [(k, f, -1.0) for f in set(t) - set(x)]
     d_row, d_col = (np.array([p[i] for p in parts], dtype=np.int64) for i in (0, 1))
     d_val, n_twins = np.array([p[2] for p in parts]), max(1, sum(t is not None for t in twins))
-    w, b = np.zeros(n_features), math.log((y.sum() + 0.5) / (len(y) - y.sum() + 0.5))
+    w, b = np.zeros(n_features), math.log((share @ y + 0.5) / (share.sum() - share @ y + 0.5))
     m, v, mb, vb = np.zeros(n_features), np.zeros(n_features), 0.0, 0.0
     for t in range(1, steps + 1):
         s = np.bincount(row, w[col], len(xs)) + b
-        err = (1 / (1 + np.exp(-np.clip(s, -40, 40))) - y) / len(y)
+        err = (1 / (1 + np.exp(-np.clip(s, -40, 40))) - y) * share / share.sum()
         g = np.bincount(col, err[row], n_features) + l2 * w
         if len(parts):
             diff = np.bincount(d_row, w[d_col] * d_val, d_row.max() + 1)
@@ -86,13 +90,18 @@ def fit(xs: Sequence[Sequence[int]], twins: Sequence[Sequence[int] | None], ys:
     return w, float(b)
 
 
-def labelled_sample(labels: DataFrame) -> DataFrame:
-    """doc_id, toxic of at most MAX_TOXIC and MAX_CLEAN documents, the first by a hash of the id.
+def training_labels(labels: DataFrame) -> DataFrame:
+    """doc_id, toxic of the documents that may be fitted.
 
     Only rows whose crc32(doc_id as text) mod 5 is not 0; null ids or labels are left out, and of contradicting labels of one id the higher counts.
     """
     rows = labels.select("doc_id", "toxic").filter("doc_id is not null and toxic is not null").filter(F.crc32(F.col("doc_id").cast("string")) % 5 != 0)
-    rows = rows.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).withColumn("h", F.xxhash64("doc_id"))
+    return rows.groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+
+
+def labelled_sample(labels: DataFrame) -> DataFrame:
+    """doc_id, toxic of at most MAX_TOXIC and MAX_CLEAN training documents, the first by a hash of the id."""
+    rows = training_labels(labels).withColumn("h", F.xxhash64("doc_id"))
     toxic = rows.filter("toxic = 1").orderBy("h", "doc_id").limit(MAX_TOXIC)
     return toxic.union(rows.filter("toxic = 0").orderBy("h", "doc_id").limit(MAX_CLEAN)).drop("h")
 
@@ -131,7 +140,9 @@ def train(docs: DataFrame, labels: DataFrame, penalty: float = 1.0) -> tuple[dic
 
     got = picked.select(F.col("doc_id").cast("long"), F.col("toxic").cast("int"), "text").mapInArrow(indexed, "doc_id long, toxic int, feats array<int>, twin array<int>").collect()
     got.sort(key=lambda r: (r["doc_id"], r["feats"]))
-    w, b = fit([r["feats"] for r in got], [r["twin"] for r in got], [r["toxic"] for r in got], len(index), penalty)
+    labelled = {r["toxic"]: r["n"] for r in training_labels(labels).groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
+    stands_for = tuple(max(1.0, labelled.get(c, 0) / most) for c, most in ((0, MAX_CLEAN), (1, MAX_TOXIC)))  # the classes keep their shares where a bound cuts
+    w, b = fit([r["feats"] for r in got], [r["twin"] for r in got], [r["toxic"] for r in got], len(index), penalty, stands_for=stands_for)
     return {f: float(w[k]) for f, k in index.items() if abs(w[k]) > 1e-9}, b
 
 
