@@ -29,8 +29,10 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from .common import free_memory
+
 #: Pieces whose ids a worker remembers, their longest, and pairs of its compatibility table.
-MEMO_PIECES, MEMO_CHARS, MEMO_PAIRS = 250_000, 64, 250_000
+MEMO_PIECES, MEMO_CHARS, MEMO_PAIRS = 100_000, 64, 100_000
 #: Characters that the file's \s stands for.
 SPACES = "\t\n\x0b\x0c\r \x85\xa0  -     　"
 
@@ -262,5 +264,6 @@ def encode_column(df: DataFrame, path: str, text_col: str, digests: bool) -> Dat
             cols = [batch.column(batch.schema.get_field_index(x)) for x in names] + [pa.array(n, pa.int64())]
             cols += [pa.array(first, pa.string()), pa.array(second, pa.string())] if digests else [pa.array(first, pa.list_(pa.int32()))]
             yield pa.RecordBatch.from_arrays(cols, names=[f.name for f in schema.fields])
+        free_memory()
 
     return df.select(*[f"`{f.name}`" for f in df.schema.fields]).mapInArrow(run, schema)

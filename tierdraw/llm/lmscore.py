@@ -1,14 +1,14 @@
 """Language-model scores by cross-entropy difference.
 
-Two bigram models of one form and one vocabulary, of target documents and of all documents, score every token; a document's score is the mean difference of the losses
-(target minus background): the lower, the more it reads like the target. Counts run over all documents. Texts become arrays of two-byte word numbers once;
-what the models of ``score`` hold is bounded by the square of the vocabulary, so the tables of losses can travel with the tasks. ``score_all_words`` bounds nothing.
+Two bigram models of one form and one vocabulary, every word of the texts, score every token: one of the target documents, one of all others. A document's score is
+the mean difference of the losses (target minus background): the lower, the more it reads like the target. The models are matched: background counts are scaled
+to the target's number of tokens, so that both lean on their smoothing alike. No document is scored by its own words: they are taken out of the model that counted
+them. Counts run over all documents and stay in distributed tables.
 """
 
 from __future__ import annotations
 
 from collections import defaultdict
-from collections.abc import Iterator
 from dataclasses import dataclass
 from hashlib import blake2b
 from itertools import count
@@ -19,104 +19,11 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, cut
+from .common import free_memory
 
-#: Words of the shared vocabulary (others are one unknown word), and weight of the unigrams behind a bigram, in tokens.
-VOCABULARY, BACKOFF = 1024, 8.0
-
-
-def vocabulary(docs: DataFrame, size: int = VOCABULARY) -> list[str]:
-    """The most frequent words of all texts, ties by code points."""
-    words = docs.select(F.explode(F.regexp_extract_all(F.coalesce("text", F.lit("")), F.lit(WORD_RE), F.lit(0))).alias("w"))
-    counted = words.groupBy("w").agg(F.count(F.lit(1)).alias("n"))
-    return [r["w"] for r in counted.orderBy(F.col("n").desc(), "w").limit(size).collect()]
-
-
-def numbered(docs: DataFrame, words: list[str]) -> DataFrame:
-    """doc_id, ids: word numbers from 1, 0 for others, as little-endian 16-bit integers."""
-    index = {w.encode(): k for k, w in enumerate(words, 1)}
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        get = index.get
-        for batch in batches:
-            ids = [np.array([get(w, 0) for w in (t.as_py() or "").encode().split()], "<u2").tobytes() for t in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.binary())], names=["doc_id", "ids"])
-
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, ids binary")
-
-
-def pair_codes(ids: np.ndarray, width: int) -> np.ndarray:
-    """Numbers of the bigrams of a text, which begins with a mark."""
-    before = np.concatenate([[width - 1], ids[:-1]]) if len(ids) else ids
-    return before.astype(np.int64) * width + ids
-
-
-def pair_counts(rows: DataFrame, size: int) -> np.ndarray:
-    """Counts of bigrams: [0] of target rows, [1] of all. ``rows``: ids, target. Every task adds its own up and sends what is not zero."""
-    width = size + 2
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros((2, width * width), np.int64)
-        for batch in batches:
-            for flag in (True, False):
-                part = [pair_codes(np.frombuffer(b.as_py(), "<u2"), width) for b, t in zip(batch.column("ids"), batch.column("target").to_pylist(), strict=True) if t == flag]
-                if part:
-                    code, n = np.unique(np.concatenate(part), return_counts=True)
-                    total[1, code] += n
-                    if flag:
-                        total[0, code] += n
-        code = np.flatnonzero(total[1])
-        yield pa.RecordBatch.from_arrays([pa.array(code), pa.array(total[0, code]), pa.array(total[1, code])], names=["code", "t", "b"])
-
-    found = rows.select("ids", "target").mapInArrow(run, "code long, t long, b long").groupBy("code").agg(F.sum("t").alias("t"), F.sum("b").alias("b")).toArrow()
-    out = np.zeros((2, width * width))
-    for k, c in enumerate(("t", "b")):
-        out[k, found.column("code").to_numpy()] = found.column(c).to_numpy()
-    return out.reshape(2, width, width)
-
-
-def losses(counts: np.ndarray, backoff: float = BACKOFF) -> np.ndarray:
-    """-log p(word | word before) of every bigram, smoothed towards the smoothed frequency of the word."""
-    single = counts.sum(axis=0) + 1.0
-    single[-1] = 0.0  # the mark of the beginning is never predicted
-    p = single / single.sum()
-    joint = (counts + backoff * p[None, :]) / (counts.sum(axis=1, keepdims=True) + backoff)
-    with np.errstate(divide="ignore"):
-        return -np.log(joint)
-
-
-def score(docs: DataFrame, targets: DataFrame, size: int = VOCABULARY) -> DataFrame:
-    """doc_id, n_tokens, loss_target, loss_background, score of every row.
-
-    ``targets``: doc_id of target documents (repeated and null ones count once and not at all). Null and empty texts: no tokens, zero losses and score.
-    Without any target text the target model is uniform. Rows with a null or repeated id are scored like others.
-    """
-    words = vocabulary(docs, size)
-    width = len(words) + 2
-    wanted = targets.select("doc_id").filter("doc_id is not null").distinct().select(F.col("doc_id").alias("t_id"))
-    rows = numbered(docs, words).join(wanted, F.col("doc_id") == F.col("t_id"), "left").select("doc_id", "ids", F.col("t_id").isNotNull().alias("target"))
-    rows = cut(rows)
-    tables = np.stack([losses(c) for c in pair_counts(rows, len(words))]).reshape(2, -1)
-    shared = docs.sparkSession.sparkContext.broadcast(tables)  # two times the square of the vocabulary
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            n, t, b = [], [], []
-            for raw in batch.column("ids"):
-                codes = pair_codes(np.frombuffer(raw.as_py(), "<u2"), width)
-                n.append(len(codes))
-                lt, lb = shared.value[:, codes].mean(axis=1).tolist() if len(codes) else (0.0, 0.0)
-                t.append(lt)
-                b.append(lb)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(t, pa.float64()), pa.array(b, pa.float64())], names=["doc_id", "n_tokens", "loss_target", "loss_background"])
-
-    out = rows.select("doc_id", "ids").mapInArrow(run, "doc_id long, n_tokens long, loss_target double, loss_background double")
-    return out.withColumn("score", F.col("loss_target") - F.col("loss_background"))
-
-
-#: Characters of texts of a chunk, on average, and those whose keys a bucket counts.
-CHUNK_CHARS, BUCKET_CHARS = 8_000_000, 16_000_000
-PAIR, WORD = 0, 1
+#: Weight of the words' frequencies behind a bigram, in tokens; characters of texts of a chunk, on average, and those whose keys a bucket counts.
+BACKOFF, CHUNK_CHARS, BUCKET_CHARS = 8.0, 8_000_000, 16_000_000
+PAIR, WORD, TARGETS = 0, 1, 2
 COUNTS = {PAIR: ("t", "b"), WORD: ("t", "b", "before_t", "before_b")}
 BLOCK = pa.schema([("kind", pa.int32()), ("bucket", pa.int32()), ("chunk", pa.int32()), ("n", pa.int32()), ("keys", pa.binary()), *[(c, pa.binary()) for c in COUNTS[WORD]]])
 SUMS = pa.schema([*[f for f in BLOCK if f.name != "keys"], *[(c, pa.int64()) for c in ("words", "all_t", "all_b")]])
@@ -166,9 +73,16 @@ class Chunk:
         """By kind what COUNTS names; ``flags``: whether each text is a target."""
         w = flags[self.doc].astype(float)
         pairs, words = len(self.pairs), len(self.words)
-        add = lambda at, n: [np.bincount(at, w, n), np.bincount(at, minlength=n)]
+        add = lambda at, n: [np.bincount(at, w, n), np.bincount(at, 1 - w, n)]
         return {PAIR: add(self.pair_at, pairs), WORD: add(self.word_at, words) + add(self.before_at, words)}
 
+    def own(self, at: np.ndarray) -> np.ndarray:
+        """Of each token, how often what it is at occurs in its text."""
+        if not len(at):
+            return np.zeros(0)
+        _, back, n = np.unique(self.doc * (int(at.max()) + 1) + at, return_inverse=True, return_counts=True)
+        return n[back].astype(float)
+
 
 def _packed(x: np.ndarray) -> bytes:
     """Whole numbers, their bytes ordered by value so that those that are zero shrink."""
@@ -184,9 +98,11 @@ def _joined(table: pa.Table, name: str) -> np.ndarray:
     return np.concatenate([np.zeros(0), *[_unpacked(x, n) for x, n in zip(table[name].to_pylist(), table["n"].to_pylist(), strict=True) if n]])
 
 
-def score_all_words(docs: DataFrame, targets: DataFrame, backoff: float = BACKOFF) -> DataFrame:
-    """As ``score``, with every word of the texts in the vocabulary: what the models hold grows with the texts and stays in distributed tables.
+def score(docs: DataFrame, targets: DataFrame, backoff: float = BACKOFF) -> DataFrame:
+    """doc_id, n_tokens, loss_target, loss_background, score of every row.
 
+    ``targets``: doc_id of target documents (repeated and null ones count once and not at all). Null and empty texts: no tokens, zero losses and score.
+    Without target texts, or without others, that model is uniform over the words. Rows with a null id are background; rows of one id are each a text.
     Texts are dealt into chunks. A chunk sends the counts of its distinct bigrams and words, keyed by 64-bit hashes, to buckets of keys; buckets add them up and
     send the sums back in the order of the chunk's keys, so keys travel once. A chunk's keys and their order do not depend on the order of its rows. Every bucket
     of words tells every chunk how many words and tokens it counted: nothing is gathered on the driver.
@@ -198,45 +114,59 @@ def score_all_words(docs: DataFrame, targets: DataFrame, backoff: float = BACKOF
     wanted = targets.select(F.col("doc_id").cast("long")).filter("doc_id is not null").withColumn("chunk", home("doc_id"))
 
     def counted(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
-        chunk, out = Chunk.of(left["text"]), []
-        flags = pc.fill_null(pc.is_in(left["doc_id"], right["doc_id"].combine_chunks()), False).to_numpy()
-        counts = chunk.counts(flags)
+        chunk, out, at = Chunk.of(left["text"]), [], key[0].as_py()
+        asked = right["doc_id"].combine_chunks()
+        counts = chunk.counts(_members(left["doc_id"], asked))
         for kind, keys in ((PAIR, chunk.pairs), (WORD, chunk.words)):
             bucket = ((keys >> np.uint64(32)) * np.uint64(n_buckets) >> np.uint64(32)).astype(np.int64)
             for k, lo, hi in zip(*_runs(bucket), strict=True):
-                row = {"kind": kind, "bucket": k, "chunk": key[0].as_py(), "n": hi - lo, "keys": _packed(np.diff(keys[lo:hi], prepend=np.uint64(0)))}
+                row = {"kind": kind, "bucket": k, "chunk": at, "n": hi - lo, "keys": _packed(np.diff(keys[lo:hi], prepend=np.uint64(0)))}
                 out.append(row | {c: _packed(x[lo:hi]) for c, x in zip(COUNTS[kind], counts[kind], strict=True)})
+        out.append({"kind": TARGETS, "bucket": at, "chunk": at, "n": len(asked), "t": asked.to_numpy(zero_copy_only=False).astype("<i8").tobytes()})
+        free_memory()
         return pa.Table.from_pylist(out, schema=BLOCK)
 
     def summed(key: tuple, table: pa.Table) -> pa.Table:
         kind, bucket = (k.as_py() for k in key)
+        if kind == TARGETS:  # one chunk's own list
+            return pa.Table.from_pylist(table.drop(["keys"]).to_pylist(), schema=SUMS)
         sizes, chunks = table["n"].to_pylist(), table["chunk"].to_pylist()
         steps = [_unpacked(x, n) for x, n in zip(table["keys"].to_pylist(), sizes, strict=True)]
         keys, at = np.unique(np.concatenate([np.cumsum(x, dtype=np.uint64) for x in steps]), return_inverse=True)
         out = [{"kind": kind, "bucket": bucket, "chunk": c, "n": n} for c, n in zip(chunks, sizes, strict=True)]
-        told = {}
+        told, seen = {}, np.zeros(len(keys))
         for name in COUNTS[kind]:
             total = np.bincount(at, _joined(table, name), len(keys))
             for row, x in zip(out, np.split(total[at], np.cumsum(sizes)[:-1]), strict=True):
                 row[name] = _packed(x)
             if kind == WORD and name in ("t", "b"):
                 told["all_" + name] = int(total.sum())
-            if kind == WORD and name == "b":
-                told["words"] = int((total > 0).sum())  # the mark is no word
+                seen += total
         if kind == WORD:
+            told["words"] = int((seen > 0).sum())  # the mark is no word
             out += [{"kind": kind, "bucket": bucket, "chunk": c, "n": 0} for c in set(range(n_chunks)) - set(chunks)]
+        free_memory()
         return pa.Table.from_pylist([row | told for row in out], schema=SUMS)
 
     def scored(left: pa.Table, right: pa.Table) -> pa.Table:
         chunk, losses = Chunk.of(left["text"]), []
         if left.num_rows:
             pairs, words = (right.filter(pc.equal(right["kind"], kind)).sort_by("bucket") for kind in (PAIR, WORD))
-            for c in ("t", "b"):
-                whole = sum(words["all_" + c].to_pylist()) + sum(words["words"].to_pylist()) + 1  # one for every word and one for unknown ones, as score() has
-                p = (_joined(words, c) + 1) / whole
-                loss = -np.log((_joined(pairs, c)[chunk.pair_at] + backoff * p[chunk.word_at]) / (_joined(words, "before_" + c)[chunk.before_at] + backoff))
-                losses.append(np.bincount(chunk.doc, loss, len(chunk.sizes)) / np.maximum(chunk.sizes, 1))
+            lists = [np.frombuffer(x, "<i8") for x in right.filter(pc.equal(right["kind"], TARGETS))["t"].to_pylist()]
+            flags = _members(left["doc_id"], pa.array(np.concatenate([np.zeros(0, np.int64), *lists]), pa.int64()))
+            pair, word, before = (chunk.own(at) for at in (chunk.pair_at, chunk.word_at, chunk.before_at))
+            tokens = {c: sum(words["all_" + c].to_pylist()) for c in ("t", "b")}
+            n_words = sum(words["words"].to_pylist())
+            for c, counted_in in (("t", flags), ("b", ~flags)):
+                scale = tokens["t"] / tokens["b"] if c == "b" and tokens["t"] and tokens["b"] else 1.0
+                held = counted_in[chunk.doc].astype(float)  # whether the token is among the model's own
+                whole = scale * (tokens[c] - held * chunk.sizes[chunk.doc]) + n_words + 1  # one for every word and one for unknown ones
+                p = (scale * (_joined(words, c)[chunk.word_at] - held * word) + 1) / whole
+                joint = scale * (_joined(pairs, c)[chunk.pair_at] - held * pair)
+                head = scale * (_joined(words, "before_" + c)[chunk.before_at] - held * before)
+                losses.append(np.bincount(chunk.doc, -np.log((joint + backoff * p) / (head + backoff)), len(chunk.sizes)) / np.maximum(chunk.sizes, 1))
         t, b = losses or [np.zeros(0)] * 2
+        free_memory()
         return pa.table({"doc_id": left["doc_id"].combine_chunks(), "n_tokens": chunk.sizes, "loss_target": t, "loss_background": b})
 
     numbers, blobs = "kind int, bucket int, chunk int, n int", ", ".join(f"{c} binary" for c in COUNTS[WORD])
@@ -246,24 +176,37 @@ def score_all_words(docs: DataFrame, targets: DataFrame, backoff: float = BACKOF
     return out.withColumn("score", F.col("loss_target") - F.col("loss_background"))
 
 
+def _members(ids: pa.ChunkedArray, asked: pa.Array) -> np.ndarray:
+    """Whether each id is among the asked ones; null is not."""
+    found = pc.fill_null(pc.and_(pc.is_valid(ids), pc.is_in(ids, asked)), False)
+    return np.asarray(found.to_numpy(), bool)
+
+
 def _runs(values: np.ndarray) -> tuple[list, list, list]:
     """Values, starts and ends of runs of equal values."""
     starts = np.flatnonzero(np.diff(values, prepend=-1))
     return values[starts].tolist(), starts.tolist(), np.append(starts, len(values))[1:].tolist()
 
 
-def oracle_sql(size: int = VOCABULARY, backoff: float = BACKOFF) -> str:
+def oracle_sql(backoff: float = BACKOFF) -> str:
     """The query over ``documents`` with target labels.quality = 1, in DuckDB's SQL, rounded to six digits."""
     return f"""
 WITH toks AS MATERIALIZED (SELECT doc_id, unnest(w) AS w, generate_subscripts(w, 1) AS i FROM (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+') AS w FROM documents)),
-vocab AS MATERIALIZED (SELECT w, row_number() OVER (ORDER BY count(*) DESC, w) AS id FROM toks GROUP BY w QUALIFY row_number() OVER (ORDER BY count(*) DESC, w) <= {size}),
-ids AS MATERIALIZED (SELECT doc_id, i, coalesce(id, 0) AS id FROM toks LEFT JOIN vocab USING (w)),
-pairs AS MATERIALIZED (SELECT doc_id, coalesce(lag(id) OVER (PARTITION BY doc_id ORDER BY i), -1) AS h, id FROM ids),
-good AS (SELECT DISTINCT doc_id FROM labels WHERE quality = 1),
-counted AS MATERIALIZED (SELECT h, id, count(*)::DOUBLE AS b, count(good.doc_id)::DOUBLE AS t FROM pairs LEFT JOIN good USING (doc_id) GROUP BY h, id),
-heads AS MATERIALIZED (SELECT h, sum(b) AS hb, sum(t) AS ht FROM counted GROUP BY h),
-tails AS MATERIALIZED (SELECT v.id, coalesce(sum(b), 0) + 1 AS sb, coalesce(sum(t), 0) + 1 AS st FROM (SELECT id FROM vocab UNION ALL SELECT 0) v LEFT JOIN counted USING (id) GROUP BY v.id),
-sums AS (SELECT sum(sb) AS nb, sum(st) AS nt FROM tails),
-cells AS MATERIALIZED (SELECT h, id, -ln((b + {backoff} * sb / nb) / (hb + {backoff})) AS lb, -ln((t + {backoff} * st / nt) / (ht + {backoff})) AS lt FROM counted JOIN heads USING (h) JOIN tails USING (id), sums)
-SELECT d.doc_id, count(p.id) AS n_tokens, round(coalesce(avg(lt), 0), 6) AS loss_target, round(coalesce(avg(lb), 0), 6) AS loss_background, round(coalesce(avg(lt) - avg(lb), 0), 6) AS score
-FROM documents d LEFT JOIN (SELECT * FROM pairs JOIN cells USING (h, id)) p ON p.doc_id = d.doc_id GROUP BY d.doc_id"""
+pairs AS MATERIALIZED (SELECT doc_id, coalesce(lag(w) OVER (PARTITION BY doc_id ORDER BY i), '') AS h, w FROM toks),
+good AS (SELECT DISTINCT doc_id AS gid FROM labels WHERE quality = 1 AND doc_id IS NOT NULL),
+own AS MATERIALIZED (SELECT doc_id, h, w, count(*)::DOUBLE AS c, (max(gid) IS NOT NULL)::INT AS g FROM pairs LEFT JOIN good ON doc_id = gid GROUP BY doc_id, h, w),
+own_head AS MATERIALIZED (SELECT doc_id, h, sum(c) AS ch FROM own GROUP BY doc_id, h),
+own_word AS MATERIALIZED (SELECT doc_id, w, sum(c) AS cw FROM own GROUP BY doc_id, w),
+own_all AS MATERIALIZED (SELECT doc_id, sum(c) AS cn FROM own GROUP BY doc_id),
+by_pair AS MATERIALIZED (SELECT h, w, sum(c * g) AS t, sum(c * (1 - g)) AS b FROM own GROUP BY h, w),
+by_head AS MATERIALIZED (SELECT h, sum(t) AS ht, sum(b) AS hb FROM by_pair GROUP BY h),
+by_word AS MATERIALIZED (SELECT w, sum(t) AS wt, sum(b) AS wb FROM by_pair GROUP BY w),
+sums AS MATERIALIZED (SELECT sum(wt) AS nt, sum(wb) AS nb, count(*) AS v, CASE WHEN sum(wt) > 0 AND sum(wb) > 0 THEN sum(wt) / sum(wb) ELSE 1.0 END AS r FROM by_word),
+cells AS (
+    SELECT doc_id, c,
+        -ln((t - g * c + {backoff} * (wt - g * cw + 1) / (nt - g * cn + v + 1)) / (ht - g * ch + {backoff})) AS lt,
+        -ln((r * (b - (1 - g) * c) + {backoff} * (r * (wb - (1 - g) * cw) + 1) / (r * (nb - (1 - g) * cn) + v + 1)) / (r * (hb - (1 - g) * ch) + {backoff})) AS lb
+    FROM own JOIN own_head USING (doc_id, h) JOIN own_word USING (doc_id, w) JOIN own_all USING (doc_id) JOIN by_pair USING (h, w) JOIN by_head USING (h) JOIN by_word USING (w), sums),
+scored AS (SELECT doc_id, sum(c)::BIGINT AS n, sum(c * lt) / sum(c) AS lt, sum(c * lb) / sum(c) AS lb FROM cells GROUP BY doc_id)
+SELECT d.doc_id, coalesce(n, 0) AS n_tokens, round(coalesce(lt, 0), 6) AS loss_target, round(coalesce(lb, 0), 6) AS loss_background, round(coalesce(lt - lb, 0), 6) AS score
+FROM documents d LEFT JOIN scored s ON s.doc_id = d.doc_id"""

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import MASK64, cut, n_words, unit
+from .common import MASK64, cut, n_words, other_columns, unit
 
 #: Documents, and words, of a bucket: bounds the group that one task holds.
 BUCKET_DOCS, BUCKET_WORDS, FAN_IN = 4096, 4_000_000, 64
@@ -159,15 +159,19 @@ def _rounded(rows: DataFrame, seed: int) -> DataFrame:
 def mixture(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights: Sequence[float] = (5, 2, 1), cap: float = 3.0, seed: int = 42) -> DataFrame:
     """The mixture itself: the columns of ``docs``, every row as often as it is taken.
 
-    Only ids, sources and sizes go through the rounding; texts are moved once, to meet their copies. Equal rows pool their copies on one of them.
+    Only ids, sources and sizes go through the rounding; texts are moved once, to meet their copies. Rows equal in id, source and text pool their copies on the one
+    that comes first by its other columns, so reruns agree. Null ids and sources are values like others; null texts have size 0 and, like empty ones, are taken
+    as often as their source's target is whole times its size. Empty table: no rows.
     """
     names = docs.columns
+    rest = other_columns([f"d{k}" for k in range(len(names))], [f"d{names.index(c)}" for c in (id_col, source_col, text_col)])
     rows = docs.select(*[F.col(f"`{c}`").alias(f"d{k}") for k, c in enumerate(names)])
     at = {c: F.col(f"d{k}") for k, c in enumerate(names)}
     rows = rows.withColumn("k1", F.coalesce(at[id_col].cast("string"), F.lit(""))).withColumn("k2", F.xxhash64(at[source_col], at[text_col]))
+    rows = rows.withColumn("k3", rest)
     narrow = rows.select("k1", "k2", at[source_col].alias("source"), n_words(at[text_col]).alias("words"))
     mixed = mix_copies(narrow.withColumn("k", F.xxhash64("k1", "k2")), "k", "source", "words", weights, cap, seed)
     copies = mixed.groupBy("k1", "k2").agg(F.sum("mix_copies").alias("copies")).filter("copies > 0")
-    first = rows.withColumn("rn", F.row_number().over(Window.partitionBy("k1", "k2").orderBy(F.lit(1)))).filter("rn = 1").drop("rn")
+    first = rows.withColumn("rn", F.row_number().over(Window.partitionBy("k1", "k2").orderBy("k3"))).filter("rn = 1").drop("rn")
     out = first.join(copies, ["k1", "k2"]).withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))))
     return out.select(*[F.col(f"d{k}").alias(c) for k, c in enumerate(names)])

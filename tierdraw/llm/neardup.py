@@ -18,19 +18,19 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .components import components
-from .common import cut
+from .common import WORD_RE, cut, free_memory, other_columns
 
 WORDS, THRESHOLD = 5, (4, 5)  # words of an n-gram; similarity as a fraction
 COORDS, SKETCH, LEVELS, BRANCHES = 128, 64, 4, 2
 #: Target recall of a pair at the threshold; members of a leaf that is compared at once; rounds of further splitting; members and n-grams of a block.
-RECALL, LEAF, SPLITS, BLOCK, BLOCK_GRAMS = 0.9999, 1000, 3, 1024, 4_000_000
+RECALL, LEAF, SPLITS, BLOCK, BLOCK_GRAMS = 0.9999, 1000, 3, 1024, 1_000_000
 #: Share of sketch coordinates from which on two sets of a leaf are candidates; average agreement from which on a large leaf is one group.
 ALIKE, TIGHT = 0.58, 0.5
-MEMO_WORDS = 100_000
+MEMO_WORDS = 50_000
 U = np.uint64
 
 
@@ -102,27 +102,42 @@ def leaves(sigs: np.ndarray, runs: int) -> np.ndarray:
 
 
 def signatures(docs: DataFrame, id_col: str, text_col: str, runs: int) -> DataFrame:
-    """id, d1, d2 (digest of the set; null without words), grams (their number), sketch, paths."""
+    """id, key (hash of the text), d1, d2 (digest of the set; null without words), grams (their number), sketch, paths."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(1)
-            for start in range(0, len(texts), 512):
-                part = texts.slice(start, 512)
-                sets = [gram_set(t.as_py()) for t in part]
-                sigs = np.stack([signature(s) for s in sets])
-                paths = leaves(sigs, runs).view(np.int64)
-                sketch = (_mix(sigs[:, :SKETCH]) >> U(56)).astype(np.uint8)
-                digest = [np.frombuffer(xxhash.xxh3_128_digest(s.tobytes()), np.int64) if len(s) else (None, None) for s in sets]
-                some = [len(s) > 0 for s in sets]
-                flat = pa.array(paths[some].ravel(), pa.int64())
-                ends = np.concatenate([[0], np.cumsum(np.where(some, paths.shape[1], 0))]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(start, 512), pa.array([None if d[0] is None else int(d[0]) for d in digest], pa.int64()), pa.array([None if d[1] is None else int(d[1]) for d in digest], pa.int64()), pa.array([len(s) for s in sets], pa.int32()), pa.array([s.tobytes() for s in sketch], pa.binary()), pa.ListArray.from_arrays(pa.array(ends), flat)],
-                    names=["id", "d1", "d2", "grams", "sketch", "paths"],
-                )
-
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("t")).mapInArrow(run, "id long, d1 long, d2 long, grams int, sketch binary, paths array<long>")
+            for start in range(0, batch.num_rows, 256):
+                yield _signed(batch.slice(start, 256), runs)
+        free_memory()
+
+    rows = _rows(docs, id_col, text_col)
+    return rows.mapInArrow(run, "id long, key long, d1 long, d2 long, grams int, sketch binary, paths array<long>")
+
+
+def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """id, key (a hash of the text), text."""
+    text = F.col(f"`{text_col}`")
+    return docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.xxhash64(text).alias("key"), text.alias("text"))
+
+
+def _signed(batch: pa.RecordBatch, runs: int) -> pa.RecordBatch:
+    sets = [gram_set(t.as_py()) for t in batch.column("text")]
+    some = np.array([len(s) > 0 for s in sets])
+    sigs = np.stack([signature(s) for s in sets])
+    paths = leaves(sigs, runs).view(np.int64)
+    sketch = (_mix(sigs[:, :SKETCH]) >> U(56)).astype(np.uint8)
+    digests = np.frombuffer(b"".join(xxhash.xxh3_128_digest(s.tobytes()) for s in sets), np.int64).reshape(-1, 2)
+    ends = np.concatenate([[0], np.cumsum(np.where(some, paths.shape[1], 0))]).astype(np.int32)
+    columns = {
+        "id": batch.column("id"),
+        "key": batch.column("key"),
+        "d1": pa.array(digests[:, 0], pa.int64(), mask=~some),
+        "d2": pa.array(digests[:, 1], pa.int64(), mask=~some),
+        "grams": pa.array([len(s) for s in sets], pa.int32()),
+        "sketch": pa.array([s.tobytes() for s in sketch], pa.binary()),
+        "paths": pa.ListArray.from_arrays(pa.array(ends), pa.array(paths[some].ravel(), pa.int64())),
+    }
+    return pa.RecordBatch.from_arrays(list(columns.values()), names=list(columns))
 
 
 def _groups(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[pa.Table]:
@@ -189,6 +204,7 @@ def _alike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(a_out, pa.int64()), pa.array(b_out, pa.int64())], names=["a", "b"])
             a_out, b_out = [], []
     yield pa.RecordBatch.from_arrays([pa.array(a_out, pa.int64()), pa.array(b_out, pa.int64())], names=["a", "b"])
+    free_memory()
 
 
 def _leaf_members(members: DataFrame) -> DataFrame:
@@ -262,7 +278,7 @@ def shared_counts(sets: list[np.ndarray]) -> np.ndarray:
                 out.ravel()[code] += c
     out += out.T
     many = np.flatnonzero(df > few)
-    width = max(256, 16_000_000 // n)
+    width = max(256, 4_000_000 // n)
     for i in range(0, len(many), width):
         cols = many[i : i + width]
         x = np.zeros((n, len(cols)), np.float32)
@@ -273,26 +289,84 @@ def shared_counts(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
+def _set_of(body) -> np.ndarray:
+    """Set of a group's member: of its text, or the set itself where it was sent."""
+    return np.frombuffer(body, U) if isinstance(body, bytes) else gram_set(body)
+
+
 def _decide(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Exact links of one pair of blocks of a candidate group: id, root, links (documents linked to)."""
+    """Exact links of one pair of blocks of a candidate group: node, root, links (rows linked to)."""
     num, den = THRESHOLD
     for g in _groups(batches, 3):
-        ids, weight, block = (g.column(c).to_numpy() for c in ("id", "weight", "block"))
         lo, hi = g.column("lo")[0].as_py(), g.column("hi")[0].as_py()
-        order = np.argsort(ids, kind="stable")
-        sets = [gram_set(t.as_py()) for t in g.column("text")]
-        sets, ids, weight, block = [sets[i] for i in order], ids[order], weight[order], block[order]
+        ids, order = np.unique(g.column("node").to_numpy(), return_index=True)  # a class whose row is there twice counts once
+        weight, block = (g.column(c).to_numpy()[order] for c in ("weight", "block"))
+        sets = [_set_of(g.column("body")[i].as_py()) for i in order.tolist()]
         if len(ids) < 2 or not sum(map(len, sets)):
             continue
         both = shared_counts(sets)
         size = np.array([len(s) for s in sets], np.int64)
         near = den * both >= num * (size[:, None] + size[None, :] - both)
-        near &= (both > 0) & (ids[:, None] != ids[None, :])
+        near &= both > 0
+        np.fill_diagonal(near, False)
         if lo != hi:
             near &= block[:, None] != block[None, :]
         links, root = near.astype(np.int64) @ weight, _roots(near)
         some = np.flatnonzero(near.any(axis=1))
-        yield pa.RecordBatch.from_arrays([pa.array(ids[some], pa.int64()), pa.array(ids[root[some]], pa.int64()), pa.array(links[some], pa.int64())], names=["id", "root", "links"])
+        columns = [pa.array(x[some], pa.int64()) for x in (ids, ids[root], links)]
+        yield pa.RecordBatch.from_arrays(columns, names=["node", "root", "links"])
+    free_memory()
+
+
+def _sent_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows with the text's set, as bytes, in place of the text: it is worked out once, however many pairs of blocks read it."""
+    for batch in batches:
+        bodies = pa.array([gram_set(t.as_py()).tobytes() for t in batch.column("body")], pa.binary())
+        yield pa.RecordBatch.from_arrays([*batch.columns[:-1], bodies], names=batch.schema.names)
+
+
+def exact_links(members: DataFrame) -> DataFrame:
+    """node, root, links of candidate groups. ``members``: root, node, weight, block, blocks, body (text).
+
+    A group of several blocks is decided by pairs of blocks: every set goes to one task per block of its group and no pair of sets is written down.
+    """
+    one = members.filter("blocks = 1").select("root", F.lit(0).alias("lo"), F.lit(0).alias("hi"), "node", "weight", "block", "body")
+    sent = members.filter("blocks > 1").select("root", "node", "weight", "block", "blocks", "body")
+    sent = sent.mapInArrow(_sent_sets, "root long, node long, weight long, block int, blocks int, body binary")
+    sent = sent.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    many = sent.select("root", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "node", "weight", "block", "body")
+    found = [rows.repartition("root", "lo", "hi").sortWithinPartitions("root", "lo", "hi").mapInArrow(_decide, "node long, root long, links long") for rows in (one, many)]
+    return found[0].union(found[1])
+
+
+def _classified(docs: DataFrame, id_col: str, text_col: str, recall: float) -> DataFrame:
+    """id, key, copy_of, n_copies, root, class_id, n_links of every row; the middle ones are null where a row takes no part."""
+    sig = cut(signatures(docs, id_col, text_col, runs_for(recall)))
+    able = sig.filter("id is not null and d1 is not null")
+    first = [F.first(c).alias(c) for c in ("grams", "sketch", "paths")]
+    classes = able.groupBy("d1", "d2").agg(F.min(F.struct("id", "key")).alias("head"), F.count(F.lit(1)).alias("n"), *first)
+    # numbers of classes: several may have one least id, where rows share an id; the written table fixes them
+    classes = cut(classes.select(F.monotonically_increasing_id().alias("node"), "head.id", "head.key", "d1", "d2", "n", "grams", "sketch", "paths"))
+    groups = cut(components(candidate_links(classes.select(F.col("node").alias("id"), "sketch", "paths"))))
+    inside = groups.join(classes.select("node", "id", "key", F.col("n").alias("weight"), "grams"), "node")
+    totals = inside.groupBy("root").agg(F.count(F.lit(1)).alias("m"), F.sum("grams").alias("grams_all"))
+    blocks = F.greatest(F.ceil(F.col("m") / BLOCK), F.ceil(F.col("grams_all") / BLOCK_GRAMS)).cast("int")
+    plan = inside.join(totals.select("root", blocks.alias("blocks")), "root")
+    plan = plan.select("id", "key", "node", "root", "weight", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"))
+    members = _rows(docs, id_col, text_col).withColumnRenamed("text", "body").join(plan, ["id", "key"])
+    decided = cut(exact_links(members))
+    roots = components(decided.select(F.col("node").alias("a"), F.col("root").alias("b")))
+    roots = cut(classes.select("node", "id").join(roots, "node"))
+    least = roots.groupBy("root").agg(F.min("id").alias("class_id"))
+    links = decided.groupBy("node").agg(F.sum("links").alias("links"))
+    named = classes.select("node", "d1", "d2", "id", "n").join(roots.select("node", "root").join(least, "root"), "node", "left").join(links, "node", "left")
+    named = named.select(
+        "d1", "d2", F.col("id").alias("copy_of"), F.col("n").alias("n_copies"), F.coalesce("root", "node").alias("root"),
+        F.coalesce("class_id", "id").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"),
+    )
+    joined = sig.select("id", "key", "d1", "d2").join(named, ["d1", "d2"], "left")
+    part = F.col("id").isNotNull()
+    return joined.select("id", "key", *[F.when(part, F.col(c)).alias(c) for c in ("copy_of", "n_copies", "root", "class_id", "n_links")])
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", recall: float = RECALL) -> DataFrame:
@@ -300,26 +374,29 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
     copy_of: least id with the same set of n-grams; n_copies: rows with that set; class_id: least id of the component of links at the threshold or more;
     n_links: other rows at the threshold or more, copies included. Texts without words (null, empty) take no part: they are a class each, without links.
-    Rows without an id are returned with nulls and no links. Rows of one id count as one document. Empty table: no rows.
+    Rows without an id are returned with nulls and no links. Rows are judged by their own texts: repeated rows of one id are copies of each other, and
+    rows of one id with different texts may lie in different classes. Empty table: no rows.
     """
-    sig = cut(signatures(docs, id_col, text_col, runs_for(recall)))
-    able = sig.filter("id is not null and d1 is not null")
-    classes = able.groupBy("d1", "d2").agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("n"), F.first("grams").alias("grams"), F.first("sketch").alias("sketch"), F.first("paths").alias("paths"))
-    classes = cut(classes)
-    groups = cut(components(candidate_links(classes.select("id", "sketch", "paths"))))
-    inside = groups.join(classes.select(F.col("id").alias("node"), F.col("n").alias("weight"), "grams"), "node")
-    totals = inside.groupBy("root").agg(F.count(F.lit(1)).alias("m"), F.sum("grams").alias("grams_all"))
-    totals = totals.select(F.col("root"), F.greatest(F.ceil(F.col("m") / BLOCK), F.ceil(F.col("grams_all") / BLOCK_GRAMS)).cast("int").alias("blocks"))
-    plan = inside.join(totals, "root").select("node", "root", "weight", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"))
-    text = docs.select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("text")).join(plan, "node")
-    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
-    rows = text.select("*", other).select("root", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), F.col("node").alias("id"), "weight", "block", "text")
-    rows = rows.repartition("root", "lo", "hi").sortWithinPartitions("root", "lo", "hi")
-    decided = cut(rows.mapInArrow(_decide, "id long, root long, links long"))
-    roots = components(decided.select(F.col("id").alias("a"), F.col("root").alias("b"))).select(F.col("node").alias("id"), F.col("root").alias("class_id"))
-    links = decided.groupBy("id").agg(F.sum("links").alias("links"))
-    named = classes.select("d1", "d2", "id", "n").join(roots, "id", "left").join(links, "id", "left")
-    named = named.select("d1", "d2", F.col("id").alias("copy_of"), F.col("n").alias("n_copies"), F.coalesce("class_id", "id").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"))
-    out = sig.select("id", "d1", "d2").join(named, ["d1", "d2"], "left")
-    lone = F.col("copy_of").isNull() | F.col("id").isNull()
-    return out.select(F.col("id").alias(id_col), F.when(lone, F.col("id")).otherwise(F.col("copy_of")).alias("copy_of"), F.when(lone, F.lit(1)).otherwise(F.col("n_copies")).alias("n_copies"), F.when(lone, F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.when(lone, F.lit(0)).otherwise(F.col("n_links")).alias("n_links"))
+    found = _classified(docs, id_col, text_col, recall)
+    return found.select(
+        F.col("id").alias(id_col), F.coalesce("copy_of", "id").alias("copy_of"), F.coalesce("n_copies", F.lit(1)).cast("long").alias("n_copies"),
+        F.coalesce("class_id", "id").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"),
+    )
+
+
+def one_per_class(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", recall: float = RECALL) -> DataFrame:
+    """Of each class of near duplicates the row with the least id, with all columns.
+
+    Of several such rows the one with the least hash of the text stays, and of rows equal in id and text the first by their other columns. Rows
+    without an id or without words are in no class and stay.
+    """
+    found = _classified(docs, id_col, text_col, recall)
+    heads = found.filter("root is not null").groupBy("root").agg(F.min(F.struct("id", "key")).alias("head")).select("head.id", "head.key")
+    names = docs.columns
+    text, key_of = F.col(f"`{text_col}`"), F.col(f"`{id_col}`").cast("long")
+    alone = key_of.isNull() | ~F.coalesce(text.rlike(WORD_RE), F.lit(False))
+    rows = docs.select(F.struct(*[f"`{c}`" for c in names]).alias("row"), key_of.alias("id"), F.xxhash64(text).alias("key"), other_columns(names, (id_col, text_col)).alias("rest"), alone.alias("alone"))
+    order = Window.partitionBy("id", "key").orderBy("rest")
+    first = rows.filter(~F.col("alone")).withColumn("place", F.row_number().over(order)).filter("place = 1")
+    kept = first.join(heads, ["id", "key"], "left_semi").select("row").unionByName(rows.filter("alone").select("row"))
+    return kept.select(*[F.col("row").getField(c).alias(c) for c in names])

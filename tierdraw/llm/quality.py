@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from .common import SPACE_CHARS, WORD_RE, cut
 
 #: Share of a stratum's good documents that all measures together may reject, and the chance of being wrong.
-RISK, DELTA, STEPS = 0.02, 0.05, 64
+RISK, DELTA = 0.02, 0.05
 #: Symbols that count, and measures with the step of their cutoffs (whole numbers: per mille, tenths of a character).
 SYMBOLS = "#*$%&|<>"
 MEASURES = {"symbol": 5, "repeat": 5, "dupline": 10, "wordlen": 4}
@@ -52,14 +52,16 @@ def repeated_words(words: Column) -> Column:
 def measures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", stratum_col: str = "lang") -> DataFrame:
     """doc_id, stratum, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, n_lines, base_failed for every row.
 
-    Null text has no words; null strata are one stratum of their own. Whole texts; no shuffle.
+    Null text has no words; null strata are one stratum of their own, apart from the empty name. Whole texts; no shuffle.
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     words = F.regexp_extract_all(text, F.lit(WORD_RE), F.lit(0))
     stats = bound(words, lambda w: F.struct(F.size(w).cast("long").alias("n_words"), repeated_words(w).cast("long").alias("n_repeat_words")))
     lines = F.filter(F.split(text, "\n"), lambda x: F.trim(F.translate(x, SPACE_CHARS[1:], " " * (len(SPACE_CHARS) - 1))) != "")
     per_line = bound(lines, lambda x: F.struct(F.size(x).cast("long").alias("n_lines"), (F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines")))
-    rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(stratum_col).cast("string"), F.lit("")).alias("stratum"), stats.alias("a"), per_line.alias("b"), F.length(F.translate(text, SPACE_CHARS, "")).cast("long").alias("word_chars"), (F.length(text) - F.length(F.translate(text, SYMBOLS, ""))).cast("long").alias("n_symbols"))
+    word_chars = F.length(F.translate(text, SPACE_CHARS, "")).cast("long")
+    n_symbols = (F.length(text) - F.length(F.translate(text, SYMBOLS, ""))).cast("long")
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.col(stratum_col).cast("string").alias("stratum"), stats.alias("a"), per_line.alias("b"), word_chars.alias("word_chars"), n_symbols.alias("n_symbols"))
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
     return rows.select("doc_id", "stratum", "a.n_words", "word_chars", "n_symbols", "b.n_dup_lines", "a.n_repeat_words", "b.n_lines").withColumn("base_failed", failed)
 
@@ -84,23 +86,25 @@ def cutoffs(measured: DataFrame, labels: DataFrame, risk: float = RISK, delta: f
     """stratum and, for each measure, its cutoff (null: none is certified, or none helps).
 
     ``labels``: doc_id, quality (1 good; of several labels of an id the highest counts, nulls are left out). The counts come from one map-side
-    combined aggregation into STEPS cutoffs, so only strata times measures times STEPS rows are left for the windows.
+    combined aggregation into cutoffs, so only one row per stratum, measure and step that labelled documents reach is left for the windows.
     """
     marks = labels.filter("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.max("quality").alias("quality"))
     held = measured.filter("not base_failed").join(marks, "doc_id")
-    cells = F.explode(F.array(*[F.struct(F.lit(m).alias("measure"), F.least(F.ceil(col / step), F.lit(STEPS)).cast("int").alias("cell")) for (m, step), col in zip(MEASURES.items(), measure_columns().values(), strict=True)]))
+    steps = zip(MEASURES.items(), measure_columns().values(), strict=True)
+    cells = F.explode(F.array(*[F.struct(F.lit(m).alias("measure"), F.ceil(col / step).cast("long").alias("cell")) for (m, step), col in steps]))
     good = F.sum(F.when(F.col("quality") == 1, 1).otherwise(0))
     counts = held.select("stratum", "quality", cells.alias("c")).groupBy("stratum", "c.measure", "c.cell").agg(good.alias("g"), (F.count(F.lit(1)) - good).alias("b"))
     # cutoff number c rejects the cells above it
     by = Window.partitionBy("stratum", "measure")
     above = by.orderBy(F.col("cell").desc()).rowsBetween(Window.unboundedPreceding, -1)
     zero = lambda c: F.coalesce(c, F.lit(0)).cast("long")
-    rows = counts.select("*", F.sum("g").over(by).cast("long").alias("n_good"), F.sum("b").over(by).cast("long").alias("n_bad"), zero(F.sum("g").over(above)).alias("k_good"), zero(F.sum("b").over(above)).alias("k_bad"))
+    totals = [F.sum(c).over(by).cast("long").alias(n) for c, n in (("g", "n_good"), ("b", "n_bad"))]
+    rows = counts.select("*", *totals, *[zero(F.sum(c).over(above)).alias(n) for c, n in (("g", "k_good"), ("b", "k_bad"))])
     n_strata = measured.select("stratum").distinct().agg(F.count(F.lit(1)).alias("n_strata"))
     rows = rows.join(F.broadcast(n_strata))  # one row
     tail = binomial_tail(F.col("n_good"), F.col("k_good"), risk / len(MEASURES))
     gain = F.col("k_bad") * F.col("n_good") - F.col("k_good") * F.col("n_bad")
-    sure = rows.withColumn("gain", gain).filter((F.col("cell") < STEPS) & (F.col("gain") > 0) & (tail <= F.lit(delta) / (len(MEASURES) * F.col("n_strata"))))
+    sure = rows.withColumn("gain", gain).filter((F.col("gain") > 0) & (tail <= F.lit(delta) / (len(MEASURES) * F.col("n_strata"))))
     best = sure.groupBy("stratum", "measure").agg(F.max(F.struct("gain", "cell")).alias("top"))
     pick = lambda m, step: F.max(F.when(F.col("measure") == m, F.col("top.cell") * step)).alias(f"cut_{m}")
     return best.groupBy("stratum").agg(*[pick(m, step) for m, step in MEASURES.items()])
@@ -113,7 +117,7 @@ def judge(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """
     measured = cut(measures(docs))
     cuts = cutoffs(measured, labels).withColumnRenamed("stratum", "cut_stratum")
-    rows = measured.join(cuts, F.col("stratum") == F.col("cut_stratum"), "left")
+    rows = measured.join(cuts, F.col("stratum").eqNullSafe(F.col("cut_stratum")), "left")
     over = F.lit(False)
     for m, col in measure_columns().items():
         over = over | F.coalesce(col > F.col(f"cut_{m}"), F.lit(False))

@@ -1,15 +1,16 @@
 """Toxicity by a counterfactually regularised linear classifier.
 
-Features are the words of a text and the prefixes of words, as presence. Labelled texts that name a group get a twin in which the group's name is
-swapped for another of its list; training adds, to the logistic loss, the squared difference of the two scores. So a group's name alone moves
-no score, and neutral mentions are not taken for insults. A bounded number of labelled rows is fitted; every row is scored, over its whole text.
+Features are the words of a text and the prefixes of words, as presence. Every labelled text has a counterfactual twin: where it names groups, the names are swapped in
+the text for others of their lists; where it names none, a neutral mention of one is put between two of its words. Training adds, to the logistic loss, the squared
+difference of the two scores. So a group's name moves no score, and neutral mentions are not taken for insults. A bounded number of labelled rows is
+fitted; every row is scored, over its whole text.
 """
 
 from __future__ import annotations
 
 import math
 import re
-from collections.abc import Iterator, Sequence
+from collections.abc import Iterator, Mapping, Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -17,12 +18,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, mix64
+from .common import MASK64, cut, free_memory, mix64, unused_name
 
-#: Most labelled rows of each class that are fitted, and most features that are kept (documented bounds of the model).
-MAX_TOXIC, MAX_CLEAN, MAX_FEATURES = 4000, 8000, 8192
+#: Most labelled rows of each class that are fitted (documented bounds of the fitted sample).
+MAX_TOXIC, MAX_CLEAN = 4000, 8000
 PREFIXES = (4, 5, 6)
-#: Names of groups, by list; a name is swapped within its list.
+#: Names of groups, by list; a name is swapped within its list. Callers may give lists of their own.
 GROUP_TERMS = {
     "belief": ["muslim", "christian", "jewish", "hindu", "buddhist", "atheist", "catholic", "sikh", "muslime", "christ", "jude", "musulman", "juif", "judío", "musulmán", "cristiano"],
     "gender": ["woman", "man", "women", "men", "girl", "boy", "female", "male", "transgender", "frau", "mann", "femme", "homme", "mujer", "hombre"],
@@ -31,7 +32,7 @@ GROUP_TERMS = {
     "body": ["deaf", "blind", "disabled", "autistic", "old", "young"],
 }
 _WORD = re.compile(r"[^\W\d_]+")
-_LIST_OF = {w: k for k, ws in GROUP_TERMS.items() for w in ws}
+Groups = Mapping[str, Sequence[str]]
 
 
 def words_of(text: str | None) -> set[str]:
@@ -47,16 +48,27 @@ def features(words: set[str]) -> set[str]:
     return out
 
 
-def swapped(words: set[str], key: int) -> set[str] | None:
-    """The words with every group name swapped for another of its list; None if there is no name."""
-    names = sorted(words & _LIST_OF.keys())
+def twin(text: str | None, key: int, groups: Groups = GROUP_TERMS) -> str | None:
+    """Counterfactual of a text, in lower case: its group names swapped, each for one other of its list, or else a name put after one of its words.
+
+    Which ones is drawn from ``key``. Null counts as empty. None only if no list has a name to put in.
+    """
+    text = (text or "").lower()
+    places = list(_WORD.finditer(text))
+    home = {name: lst for lst, names in groups.items() if len(names) > 1 for name in names}
+    named = sorted({m[0] for m in places} & home.keys())
+    if named:
+        swap = {}
+        for k, name in enumerate(named):
+            others = [x for x in groups[home[name]] if x != name]
+            swap[name] = others[mix64(key + k & MASK64) % len(others)]
+        return _WORD.sub(lambda m: swap.get(m[0], m[0]), text)
+    names = sorted({x for lst in groups.values() for x in lst})
     if not names:
         return None
-    out = words - set(names)
-    for k, name in enumerate(names):
-        others = [w for w in GROUP_TERMS[_LIST_OF[name]] if w != name]
-        out.add(others[mix64(key + k) % len(others)])
-    return out
+    name = names[mix64(key & MASK64) % len(names)]
+    at = places[mix64(key + 1 & MASK64) % len(places)].end() if places else 0
+    return f"{text[:at]} {name}{text[at:]}"
 
 
 def fit(xs: Sequence[Sequence[int]], twins: Sequence[Sequence[int] | None], ys: Sequence[int], n_features: int, penalty: float = 1.0, l2: float = 2e-5, steps: int = 400, stands_for: tuple[float, float] = (1.0, 1.0)) -> tuple[np.ndarray, float]:
@@ -106,39 +118,42 @@ def labelled_sample(labels: DataFrame) -> DataFrame:
     return toxic.union(rows.filter("toxic = 0").orderBy("h", "doc_id").limit(MAX_CLEAN)).drop("h")
 
 
-def train(docs: DataFrame, labels: DataFrame, penalty: float = 1.0) -> tuple[dict[str, float], float]:
-    """Weights by feature, and the bias. Without labels of both classes, no features and a bias that calls nothing toxic."""
+def train(docs: DataFrame, labels: DataFrame, penalty: float = 1.0, groups: Groups = GROUP_TERMS, max_features: int | None = None) -> tuple[dict[str, float], float]:
+    """Weights by feature, and the bias. Without labels of both classes, no features and a bias that calls nothing toxic.
+
+    Features that tell the classes of the fitted sample apart are kept, all of them or the ``max_features`` that do best, and those of the group names. Null texts
+    count as empty; repeated rows of a labelled id are fitted as often as they are there.
+    """
     picked = cut(docs.select("doc_id", "text").join(F.broadcast(labelled_sample(labels)), "doc_id"))  # at most MAX_TOXIC + MAX_CLEAN ids
-    schema = "doc_id long, toxic int, feats array<string>, twin array<string>"
+    picked = picked.select(F.col("doc_id").cast("long"), F.col("toxic").cast("int"), "text")
 
     def featured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, ys = batch.column("doc_id").to_pylist(), batch.column("toxic").to_pylist()
-            ws = [words_of(t.as_py()) for t in batch.column("text")]
-            twins = [swapped(w, i) for w, i in zip(ws, ids, strict=True)]
-            cols = [pa.array(ids, pa.int64()), pa.array(ys, pa.int32()), pa.array([sorted(features(w)) for w in ws], pa.list_(pa.string())), pa.array([None if t is None else sorted(features(t)) for t in twins], pa.list_(pa.string()))]
-            yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "toxic", "feats", "twin"])
+            feats = [sorted(features(words_of(t.as_py()))) for t in batch.column("text")]
+            yield pa.RecordBatch.from_arrays([batch.column("toxic"), pa.array(feats, pa.list_(pa.string()))], names=["toxic", "feats"])
 
-    rows = picked.select(F.col("doc_id").cast("long"), F.col("toxic").cast("int"), "text").mapInArrow(featured, schema)
     by_class = {r["toxic"]: r["n"] for r in picked.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     n1, n0 = by_class.get(1, 0), by_class.get(0, 0)
     if not n1 or not n0:
         return {}, -50.0
-    seen = rows.select("toxic", F.explode("feats").alias("f")).groupBy("f").agg(F.sum("toxic").alias("a"), F.count(F.lit(1)).alias("n"))
+    seen = picked.mapInArrow(featured, "toxic int, feats array<string>").select("toxic", F.explode("feats").alias("f"))
+    seen = seen.groupBy("f").agg(F.sum("toxic").alias("a"), F.count(F.lit(1)).alias("n"))
     p = F.col("n") / (n0 + n1)
     z = (F.col("a") / n1 - (F.col("n") - F.col("a")) / n0) / F.sqrt(p * (1 - p) * (1 / n1 + 1 / n0))
-    strong = seen.filter("n >= 3").withColumn("z", z).filter(F.abs("z") >= 4).orderBy(F.abs("z").desc(), "f").limit(MAX_FEATURES).select("f")
-    names = [r["f"] for r in strong.collect()]  # at most MAX_FEATURES
-    terms = sorted(f for f in features(set(_LIST_OF)) if f not in set(names))
-    index = {f: k for k, f in enumerate([*names, *terms])}
+    strong = seen.filter("n >= 3").withColumn("z", z).filter(F.abs("z") >= 4).orderBy(F.abs("z").desc(), "f").select("f")
+    names = [r["f"] for r in (strong if max_features is None else strong.limit(max_features)).collect()]  # of the bounded sample
+    terms = features({x for lst in groups.values() for x in lst}) - set(names)
+    index = {f: k for k, f in enumerate([*names, *sorted(terms)])}
+    places = lambda text: sorted(index[f] for f in features(words_of(text)) & index.keys())
 
     def indexed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in featured(batches):
-            twins = [None if t is None else [index[f] for f in t if f in index] for t in batch.column("twin").to_pylist()]
-            xs = [[index[f] for f in x if f in index] for x in batch.column("feats").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("toxic"), pa.array(xs, pa.list_(pa.int32())), pa.array(twins, pa.list_(pa.int32()))], names=["doc_id", "toxic", "feats", "twin"])
+        for batch in batches:
+            ids, texts = batch.column("doc_id").to_pylist(), [t.as_py() for t in batch.column("text")]
+            others = [twin(t, i, groups) for t, i in zip(texts, ids, strict=True)]
+            xs = [pa.array([None if t is None else places(t) for t in column], pa.list_(pa.int32())) for column in ([t or "" for t in texts], others)]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("toxic"), *xs], names=["doc_id", "toxic", "feats", "twin"])
 
-    got = picked.select(F.col("doc_id").cast("long"), F.col("toxic").cast("int"), "text").mapInArrow(indexed, "doc_id long, toxic int, feats array<int>, twin array<int>").collect()
+    got = picked.mapInArrow(indexed, "doc_id long, toxic int, feats array<int>, twin array<int>").collect()
     got.sort(key=lambda r: (r["doc_id"], r["feats"]))
     labelled = {r["toxic"]: r["n"] for r in training_labels(labels).groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     stands_for = tuple(max(1.0, labelled.get(c, 0) / most) for c, most in ((0, MAX_CLEAN), (1, MAX_TOXIC)))  # the classes keep their shares where a bound cuts
@@ -155,21 +170,29 @@ def score_text(text: str | None, words: dict[str, float], prefixes: list[tuple[i
     return 1 / (1 + math.exp(-max(-60.0, min(60.0, s))))
 
 
-def score(docs: DataFrame, model: tuple[dict[str, float], float], text_col: str = "text") -> DataFrame:
-    """All rows and columns of ``docs`` plus tox_score (0 to 1); such a column that is there already is replaced.
+def score(docs: DataFrame, model: tuple[dict[str, float], float], text_col: str = "text", score_col: str = "tox_score") -> DataFrame:
+    """All rows and columns of ``docs`` plus ``score_col`` (0 to 1); a column of that name is replaced.
 
-    Null and empty texts get the score of a text without words. The model, of at most MAX_FEATURES features and the group names, travels with the tasks.
+    Null and empty texts get the score of a text without words; equal texts get equal scores. The model, of features of the bounded sample, travels with the tasks.
     """
     weights, bias = model
-    keep = [f for f in docs.schema.fields if f.name != "tox_score"]
-    schema = T.StructType([*keep, T.StructField("tox_score", T.DoubleType())])
+    keep = [f for f in docs.schema.fields if f.name != score_col]
+    schema = T.StructType([*[T.StructField(f"d{k}", f.dataType) for k, f in enumerate(keep)], T.StructField("score", T.DoubleType())])
+    text_at = [f.name for f in keep].index(text_col)
     plain = {f: w for f, w in weights.items() if "^" not in f}
     by_len = [(n, {f[2:]: w for f, w in weights.items() if f.startswith(f"{n}^")}) for n in PREFIXES]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            at = batch.schema.get_field_index
-            scores = [score_text(t.as_py(), plain, by_len, bias) for t in batch.column(at(text_col))]
-            yield pa.RecordBatch.from_arrays([*[batch.column(at(f.name)) for f in keep], pa.array(scores, pa.float64())], names=[f.name for f in schema.fields])
+            scores = [score_text(t.as_py(), plain, by_len, bias) for t in batch.column(text_at)]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(scores, pa.float64())], names=schema.names)
+        free_memory()
+
+    out = docs.select(*[F.col(f"`{f.name}`").alias(f"d{k}") for k, f in enumerate(keep)]).mapInArrow(run, schema)
+    return out.select(*[F.col(f"d{k}").alias(f.name) for k, f in enumerate(keep)], F.col("score").alias(score_col))
+
 
-    return docs.select(*[f"`{f.name}`" for f in docs.schema.fields]).mapInArrow(run, schema)
+def without_toxic(docs: DataFrame, model: tuple[dict[str, float], float], text_col: str = "text") -> DataFrame:
+    """Rows that are not called toxic (score below one half), with all columns and none more."""
+    name = unused_name(docs.columns, "tox_score")
+    return score(docs, model, text_col, name).filter(F.col(f"`{name}`") < 0.5).drop(name)
