@@ -1,9 +1,11 @@
-"""A corpus from documents in five stages: no toxic texts, one of each group of near copies, no repeated passages, a mix of sources, token ids."""
+"""A corpus from documents in five stages: no toxic texts, one of each group of near copies, no repeated passages, a mix of sources, token ids.
+
+All stages take tables with null, empty and very long texts, repeated rows, null ids, further columns of any names, and without rows.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from tierdraw.llm import bpe, mixing, neardup, substring, toxicity
 from tierdraw.llm.common import cut, table
@@ -11,35 +13,40 @@ from tierdraw.llm.queries import tokenizer_path
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose chance of being toxic is below one half, with all columns."""
+    """Documents whose chance of being toxic is below one half, with all columns and no others.
+
+    Null and empty texts have the score of a text without words; equal texts go or stay together. Without labels of both classes all stay.
+    """
     model = toxicity.train(docs, table(spark, sf_dir, "labels", "doc_id", "toxic"))
-    return toxicity.score(docs, model).filter("tox_score < 0.5").select(*[f"`{c}`" for c in docs.columns])
+    return toxicity.without_toxic(docs, model)
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies, the document with the least id; rows of one id count as one document, rows without an id stay."""
-    found = neardup.near_duplicates(docs)
-    heads = found.filter("doc_id is not null and doc_id = class_id").select("doc_id").distinct()
-    named = docs.filter("doc_id is not null").join(heads, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return named.unionByName(docs.filter("doc_id is null"))
+    """Of each group of near copies the row with the least id; rows without an id, and texts without words, are in no group and stay.
+
+    Repeated rows are copies. Rows of one id with different texts are compared like others.
+    """
+    return neardup.one_per_class(docs)
 
 
 def drop_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without sentences of repeated passages; one that nothing is left of goes."""
-    names = docs.columns
-    out = substring.drop_repeats(docs).filter((F.col("n_removed") == 0) | (F.trim("text") != "")).drop("n_sentences", "n_removed")
-    if "n_chars" in names:
-        out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return out.select(*[f"`{c}`" for c in names])
+    """Documents without sentences of repeated passages; one that nothing is left of goes.
+
+    Null and empty texts, and rows without an id, stay as they are; repeated rows are cut alike; n_chars is counted again.
+    """
+    return substring.without_passages(docs)
 
 
 def mix_by_weight(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix of sources takes it."""
+    """Each document as often as the mix of sources takes it.
+
+    Null sources are one source, the last; rows equal in id, source and text pool their copies on one of them.
+    """
     return mixing.mixture(docs)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All columns, and the token ids of the whole text."""
+    """All columns, and the token ids of the whole text with their number (columns ids and n_tokens are replaced). Null and empty texts have none."""
     return bpe.encode_column(docs, tokenizer_path(), "text", digests=False)
 
 
