@@ -32,7 +32,7 @@ from pyspark.sql import types as T
 from .common import free_memory
 
 #: Pieces whose ids a worker remembers, their longest, and pairs of its compatibility table.
-MEMO_PIECES, MEMO_CHARS, MEMO_PAIRS = 100_000, 64, 100_000
+MEMO_PIECES, MEMO_CHARS, MEMO_PAIRS = 200_000, 64, 200_000
 #: Characters that the file's \s stands for.
 SPACES = "\t\n\x0b\x0c\r \x85\xa0  -     　"
 
