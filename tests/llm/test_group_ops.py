@@ -78,6 +78,16 @@ def test_near_duplicates_edges(spark):
     assert neardup.runs_for(0.9999) == 4
 
 
+def test_near_duplicates_repeated_rows(spark):
+    """A repeated row counts once in its class, and rows of one id with different texts are compared by their own texts."""
+    a, c = (" ".join(f"{p}{i}" for i in range(60)) for p in "wz")
+    near = lambda rows: sorted((r["doc_id"], r["class_id"], r["n_links"]) for r in neardup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert near([(1, a), (1, a), (2, a + " x")]) == [(1, 1, 2), (1, 1, 2), (2, 1, 2)]
+    assert near([(1, a), (1, c), (2, a + " x"), (3, c)]) == [(1, 1, 1), (1, 1, 1), (2, 1, 1), (3, 1, 1)]
+    rows = spark.createDataFrame([(1, a, "q"), (1, a, "p"), (1, c, "r"), (2, a + " x", "s"), (None, a, "t"), (4, "", "u")], "doc_id long, text string, rn string")
+    assert sorted(neardup.one_per_class(rows).select("rn").toPandas()["rn"]) == ["p", "r", "t", "u"]
+
+
 def test_shared_counts():
     rng = np.random.default_rng(0)
     for n in (5, 90):
@@ -209,5 +219,13 @@ def test_pipeline(spark):
     for _, stage in corpus_pipeline.STAGES[:-1]:
         assert stage(spark, docs, SF).columns == docs.columns
         assert stage(spark, docs.limit(0), SF).count() == 0
+    odd = [(None, None, None), (None, "a b", "s"), (1, "", "s"), (2, "x " * 30_000, None), (3, "a b c", "s"), (3, "a b c", "s"), (3, "other words here", "t")]
+    clash = "tox_score n_removed n_sentences copies ids k1 place rest alone class_id size".split()
+    edges = spark.createDataFrame(odd, "doc_id long, text string, source string").withColumns({c: F.lit("own") for c in clash})
+    for name, stage in corpus_pipeline.STAGES:
+        out = stage(spark, edges, SF).cache()
+        assert out.columns == edges.columns if name != "bpe" else set(out.columns) == {*edges.columns, "n_tokens"}
+        assert out.filter("tox_score <> 'own' or n_removed <> 'own' or place <> 'own'").count() == 0
+        assert {"toxicity": 7, "ngram_join": 6, "substring": 7, "bpe": 7}.get(name, out.count()) == out.count()
     out = corpus_pipeline.run(spark, SF)
     assert out.count() > 0 and set(docs.columns) < set(out.columns)

@@ -2,9 +2,11 @@
 
 import collections
 import hashlib
+import math
 import random
 import re
 import struct
+import time
 
 import pytest
 from pyspark.sql import functions as F
@@ -67,6 +69,44 @@ def test_html_templates():
     assert htmltext.main_text("<p>" * 3000 + "deep. text") == "deep. text"
 
 
+def test_html_linear_and_deep():
+    """Broken markup ends in time in proportion to its length, and no depth is too deep."""
+    began = time.time()
+    for bad in ("<svg " * 200_000, '<a b="' * 150_000, "<a b='\"'" * 60_000, "<div><p>" + "<span>" * 5000 + "</p>" * 50_000, "<svg>" * 200_000, "<!--" * 200_000):
+        htmltext.main_text(bad)
+    assert time.time() - began < 10
+    page = "<div>" * 5000 + "<article><p>The text, of an article.</p><aside>An advert, here.</aside></article>" + "</div>" * 5000
+    assert htmltext.main_text(page) == "The text, of an article."
+    assert htmltext.main_text("<article><p>Before, <svg width=1 /> after.</p></article>") == "Before, after."
+
+
+def test_html_path_sums_and_ratios():
+    """Scores from sums by path, worked out the long way; ratios part what names leave open."""
+    prose = "A sentence, of some length. " * 8
+    page = htmltext.read(f"<div class=x><p>{prose}<p>{prose}<ul><li><a href=1>one</a><li><a href=2>two</a><li><a href=3>more</a></ul></div>")
+    scores = htmltext.path_scores(page)
+    at = [n.path for n in page.nodes]
+    own = {}
+    for p in set(at):
+        mine = [n for n in page.nodes if n.path == p and n.text.strip()]
+        if mine:
+            chars = [len("".join(n.text.split())) * (0.05**2 if n.link else 1) for n in mine]
+            marks = [sum(c in htmltext.PUNCTUATION for c in n.text) for n in mine]
+            own[p] = sum(chars) / len(mine) * (1 + sum(marks) / len(mine))
+    seq = [n.path for n in page.nodes if n.text.strip()]
+    for p in own:
+        smooth = []
+        for i in (i for i, x in enumerate(seq) if x == p):
+            ws = [math.exp(-0.5 * ((i - j) / htmltext.SIGMA) ** 2) if abs(i - j) <= int(3 * htmltext.SIGMA) else 0 for j in range(len(seq))]
+            smooth.append(sum(w * own[x] for w, x in zip(ws, seq, strict=True)) / sum(ws))
+        assert scores[p] == pytest.approx((own[p] * sum(smooth) / len(smooth)) ** 0.25)
+    links = "".join(f"<li><a href=/{k}>tag</a>" for k in range(40))
+    mixed = f"<article><p>{prose * 20}</p><section class=related-work><p>{prose * 20}</p></section><div class=notice><p>{prose}</p></div></article><div>{links}</div>"
+    assert htmltext.main_text(mixed) == " ".join([(prose * 20).strip()] * 2)
+    plain = f"<div><p>{prose * 20}</p></div><div>{links}</div>"
+    assert htmltext.main_text(plain) == (prose * 20).strip() != htmltext.main_text(plain, ratios=False)
+
+
 def test_html_rows(spark):
     rows = spark.createDataFrame([(1, "u", None, "old"), (1, "u", None, "old"), (2, None, "<p>a&#xD800;b</p>", "old")], "page_id long, url string, html string, text string")
     got = htmltext.extract(rows).orderBy("page_id").collect()
@@ -137,6 +177,8 @@ def test_toxicity_holdout_and_twins(spark, edge):
     docs = spark.createDataFrame(rows, "doc_id long, text string, toxic int").cache()
     labels = docs.select("doc_id", "toxic")
     fair, plain = toxicity.train(docs.drop("toxic"), labels), toxicity.train(docs.drop("toxic"), labels, penalty=0.0)
+    ask = lambda m, t: toxicity.score(spark.createDataFrame([(t,)], "text string"), m).first()["tox_score"]
+    assert ask(plain, "muslim") > ask(fair, "muslim")  # a neutral mention
     gap = lambda m: abs(m[0].get("muslim", 0.0) - m[0].get("hindu", 0.0))
     assert gap(fair) < 0.5 * gap(plain)
     held = toxicity.score(docs, fair).filter(F.crc32(F.col("doc_id").cast("string")) % 5 == 0)
@@ -145,6 +187,39 @@ def test_toxicity_holdout_and_twins(spark, edge):
     assert len(out) == len(EDGE) and all(0 <= r["tox_score"] <= 1 for r in out)
     none = toxicity.train(edge, labels.limit(0))
     assert toxicity.score(edge, none).filter("tox_score >= 0.5").count() == 0
+    kept = toxicity.without_toxic(edge, none)
+    assert kept.columns == edge.columns and kept.filter("tox_score = 1.0").count() == len(EDGE)
+
+
+def test_toxicity_twins_and_gradient():
+    groups = {"g": ["red", "blue"], "h": ["north", "south", "west"]}
+    assert toxicity.twin("A Red hat, red shoes", 3, groups) == "a blue hat, blue shoes"
+    made = toxicity.twin("no group here", 5, groups)
+    extra = set(made.split()) - {"no", "group", "here"}
+    assert len(extra) == 1 and extra < {"red", "blue", "north", "south", "west"}
+    assert toxicity.twin(None, 1, groups).strip() in {"red", "blue", "north", "south", "west"} and toxicity.twin("x", 1, {}) is None
+    # a strong penalty makes twins equal where the labels alone would part them
+    xs, twins, ys = [[0], [1], [0, 2], [1, 2]] * 25, [[1], [0], [1, 2], [0, 2]] * 25, [0, 1, 0, 1] * 25
+    free, held = (toxicity.fit(xs, twins, ys, 3, penalty=p)[0] for p in (0.0, 100.0))
+    assert abs(free[0] - free[1]) > 5 and abs(held[0] - held[1]) < 0.1
+
+
+def test_substring_rows(spark):
+    """Repeated rows, versions of one id, rows without id, and columns whose names clash."""
+    one, two = ("Some words make this first sentence, and more of them do. And a second one follows it with as many words. " for _ in range(2))
+    rows = [(1, one), (1, one), (1, one + "Own end here."), (2, "Start of it. " + two), (None, one), (3, None), (4, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("n_removed", F.lit("mine")).withColumn("N_sentences", F.lit(7))
+    out = substring.without_passages(docs)
+    assert out.columns == docs.columns
+    got = sorted(((r["doc_id"], r["text"]) for r in out.collect()), key=repr)
+    assert got == sorted([(1, one), (1, one), (1, one + "Own end here."), (2, "Start of it. "), (None, one), (3, None), (4, "")], key=repr)
+    assert {r["n_removed"] for r in out.collect()} == {"mine"}
+
+
+def test_quality_null_stratum_is_apart(spark):
+    rows = [(k, "word " * 5 + f"w{k} " * 3 + "a b c d e f", None if k % 2 else "") for k in range(10)]
+    strata = {r["stratum"] for r in quality.measures(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    assert strata == {None, ""}
 
 
 def test_lm_edges(spark, edge):

@@ -3,7 +3,8 @@
 Index: a bounded sample is split again and again into equal halves along the line between two far means; the means of the parts are the centroids. Every vector joins the
 list of its nearest centroid and, if it lies near a boundary, further lists whose centroids are almost as near and not hidden behind one it has already joined.
 Vectors find their lists by a best-first walk of a graph of the centroids, held in memory. Search: every list is read whose distance is within a ratio of the nearest
-one's; members are compared exactly in double precision. Largest inner products become least distances through one more component. Equal vectors are indexed once, with the few least ids that
+one's, however many these are; the ratio is the least that finds the asked share of the true neighbours of some vectors, which are worked out by brute force over all rows.
+Members are compared exactly in double precision. Largest inner products become least distances through one more component. Equal vectors are indexed once, with the few least ids that
 any answer can need, so a vector that a third of all rows hold costs as much as any other.
 """
 
@@ -21,8 +22,10 @@ from .common import cut
 
 #: Bounds of the index: sampled vectors and their numbers, lists, members of a list aimed at.
 SAMPLE, SAMPLE_FLOATS, MAX_LISTS, LIST_SIZE = 20_000, 4_000_000, 4096, 64
-#: Lists a vector may join, and how much farther than the nearest one they may be; lists a query reads at least, and how much farther others may be (ratio).
-REPLICAS, CLOSURE, LEAST_PROBES, RATIO = 4, 1.15, 24, 1.2
+#: Lists a vector may join, and how much farther than the nearest one they may be; lists a query reads at least, and the nearest centroids that its walk begins with.
+REPLICAS, CLOSURE, LEAST_PROBES, BREADTH = 4, 1.15, 16, 128
+#: Share of true neighbours that the ratio is to find, and vectors whose neighbours are worked out to choose it.
+RECALL, TRIALS = 0.97, 128
 #: Neighbours of a centroid in the graph, entry points; rows of an index partition.
 DEGREE, ENTRIES, PART_ROWS = 24, 24, 60_000
 
@@ -48,6 +51,7 @@ class Index:
     norm: float
     parts: int
     width: int
+    ratio: float = float("inf")
 
     def lift(self, x: np.ndarray, query: bool) -> np.ndarray:
         """Vectors with one more component: inner products become distances."""
@@ -103,13 +107,26 @@ class Index:
         return out
 
     def probes_of(self, x: np.ndarray) -> list[np.ndarray]:
-        """Lists each query reads: all within a ratio of the nearest one's distance, however many; a breadth of all lists compares every centroid."""
-        ids, dist = self.walk(self.lift(x, True), len(self.centroids))
-        dist = np.sqrt(np.maximum(dist, 0))
-        keep = dist <= RATIO * dist[:, :1] + 1e-12
-        keep[:, :LEAST_PROBES] = True
-        keep &= np.isfinite(dist)
-        return [ids[r][keep[r]] for r in range(len(x))]
+        """Lists each query reads: all within the ratio of the nearest one's distance. The walk is widened until it has passed the ratio."""
+        lifted, breadth = self.lift(x, True), BREADTH
+        out: list[np.ndarray] = [np.zeros(0, np.int64)] * len(x)
+        todo = np.arange(len(x))
+        while len(todo):
+            ids, dist = self.walk(lifted[todo], breadth)
+            dist = np.sqrt(np.maximum(dist, 0))
+            keep = dist <= self.ratio * dist[:, :1] + 1e-12
+            keep[:, :LEAST_PROBES] = True
+            keep &= np.isfinite(dist)
+            whole = ~keep[:, -1] | (breadth >= len(self.centroids))
+            for r in np.flatnonzero(whole).tolist():
+                out[todo[r]] = ids[r][keep[r]]
+            todo, breadth = todo[~whole], breadth * 4
+        return out
+
+    def needed(self, query: np.ndarray, near: np.ndarray) -> np.ndarray:
+        """Ratio from which on a query reads a list of each of some vectors."""
+        d = np.sqrt(np.maximum(((self.centroids - self.lift(query[None, :], True)) ** 2).sum(axis=1), 0))
+        return np.array([d[ls].min() for ls in self.lists_of(near)]) / max(float(d.min()), 1e-12)
 
 
 def halves(x: np.ndarray, parts: int, seed: int = 7) -> np.ndarray:
@@ -158,11 +175,38 @@ def _best(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
     return np.lexsort((ids, -scores))[:k]
 
 
-def search(rows: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 20) -> DataFrame:
+def chosen_ratio(index: Index, vectors: DataFrame, trials: np.ndarray, k: int, recall: float) -> float:
+    """Least ratio at which the asked share of the k true neighbours of the trial vectors lie in lists that are read.
+
+    The trials are compared with all vectors, in Arrow batches; a batch sends its k + 1 best of each trial.
+    """
+
+    def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            x = _matrix(batch.column("v"), index.width)
+            scores = trials @ x.T
+            top = np.argsort(-scores, axis=1, kind="stable")[:, : k + 1]
+            trial = pa.array(np.repeat(np.arange(len(trials)), top.shape[1]), pa.int32())
+            yield pa.RecordBatch.from_arrays([trial, pa.array(np.take_along_axis(scores, top, 1).ravel()), batch.column("v").take(pa.array(top.ravel()))], names=["trial", "score", "v"])
+
+    found = vectors.select("v").mapInArrow(best, "trial int, score double, v array<double>")
+    place = F.row_number().over(Window.partitionBy("trial").orderBy(F.col("score").desc(), "v"))
+    rows = found.withColumn("place", place).filter(F.col("place") <= k + 1).collect()  # trials times k + 1
+    needed = []
+    for t, query in enumerate(trials):
+        near = np.array([r["v"] for r in rows if r["trial"] == t and r["v"] != query.tolist()])
+        if len(near):
+            needed.append(index.needed(query, near))
+    return float(np.quantile(np.concatenate(needed), recall)) + 1e-9 if needed else float("inf")
+
+
+def search(rows: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 20, recall: float = RECALL, exact: bool = False) -> DataFrame:
     """query_id, rank, vec_id, score: for every row for which ``is_query`` (a condition on vec_id) holds, its k best others by inner product.
 
     Ties go to the smaller id; fewer candidates give fewer rows. Vectors that are null, zero, not finite or of an uncommon length take no part; rows of one id
-    and different vectors are separate candidates. The lists of a partition and the queries that read it are one task's work: PART_ROWS sets its size.
+    and different vectors are separate candidates. ``recall`` chooses the ratio of the lists read; with ``exact`` every list is read. The lists of a partition and the queries that read it are one task's work: PART_ROWS sets its size.
     """
     good = usable(rows, id_col, vec_col)
     keyed = cut(good.withColumn("h1", F.xxhash64("v")).withColumn("h2", F.xxhash64(F.lit(3), "v")))
@@ -178,7 +222,10 @@ def search(rows: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "em
     if not n or not n_queries:
         return rows.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     picked = distinct.orderBy(F.xxhash64("h1"), "h2").limit(int(max(64, min(SAMPLE, SAMPLE_FLOATS // width)))).select("v")
-    index = build(np.array([r["v"] for r in picked.collect()]), float(biggest) ** 0.5, n, n_queries)
+    sample = np.array([r["v"] for r in picked.collect()])
+    index = build(sample, float(biggest) ** 0.5, n, n_queries)
+    if not exact:
+        index.ratio = chosen_ratio(index, distinct, sample[:: max(1, len(sample) // TRIALS)][:TRIALS], k, recall)
     shared = rows.sparkSession.sparkContext.broadcast(index)  # at most MAX_LISTS centroids
 
     def posted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -212,24 +259,37 @@ def search(rows: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "em
             lists, least = left.column("list").to_numpy(), np.array([i[0] for i in left.column("ids").to_pylist()])
             lh1, lh2 = left.column("h1").to_numpy(), left.column("h2").to_numpy()
             rh1, rh2 = right.column("h1").to_numpy(), right.column("h2").to_numpy()
-            # a vector of several lists counts once; all are multiplied with some queries at a time, and each query takes those of its lists
-            _, once, place = np.unique(lh1, return_index=True, return_inverse=True)
-            x, least, read = x[once], least[once], np.zeros(int(lists.max()) + 1, bool)
+            order = np.argsort(lists, kind="stable")
+            numbers, starts = np.unique(lists[order], return_index=True)
+            members = dict(zip(numbers.tolist(), np.split(order, starts[1:]), strict=True))
+            asking: dict[int, list[int]] = {}
             for r, ls in enumerate(right.column("lists").to_pylist()):
-                if r % 64 == 0:
-                    products = q[r : r + 64] @ x.T
-                read[:] = False
-                read[[l for l in ls if l < len(read)]] = True
-                seen = np.zeros(len(once), bool)
-                seen[place[read[lists]]] = True
-                at = np.flatnonzero(seen)
-                best = at[_best(products[r % 64, at], least[at], k + 1)]
+                for one in ls:
+                    if one in members:
+                        asking.setdefault(one, []).append(r)
+            place: list[list[np.ndarray]] = [[] for _ in rh1]
+            value: list[list[np.ndarray]] = [[] for _ in rh1]
+            for one, who in asking.items():  # a list is multiplied with the queries that read it, and no others
+                at = members[one]
+                for s in range(0, len(who), 512):
+                    products = q[who[s : s + 512]] @ x[at].T
+                    for r, scores in zip(who[s : s + 512], products, strict=True):
+                        place[r].append(at)
+                        value[r].append(scores)
+            for r in range(len(rh1)):
+                if not place[r]:
+                    continue
+                at, scores = np.concatenate(place[r]), np.concatenate(value[r])
+                place[r] = value[r] = []
+                best = _best(scores, least[at], REPLICAS * (k + 1))  # a vector of several lists is there as often
+                _, once = np.unique(lh1[at[best]], return_index=True)
+                best = at[best[np.sort(once)[: k + 1]]]
                 q1.append(np.full(len(best), rh1[r]))
                 q2.append(np.full(len(best), rh2[r]))
-                v1.append(lh1[once[best]])
-                v2.append(lh2[once[best]])
+                v1.append(lh1[best])
+                v2.append(lh2[best])
                 score.append((x[best] * q[r]).sum(axis=1))
-                out.append(once[best])
+                out.append(best)
         cat = lambda xs, t: np.concatenate(xs) if xs else np.zeros(0, t)
         ids = left.column("ids").combine_chunks().take(pa.array(cat(out, np.int64))) if out else pa.array([], pa.list_(pa.int64()))
         return pa.table({"q1": cat(q1, np.int64), "q2": cat(q2, np.int64), "v1": cat(v1, np.int64), "v2": cat(v2, np.int64), "score": cat(score, np.float64), "ids": ids})
