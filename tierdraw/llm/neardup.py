@@ -268,7 +268,7 @@ def shared_counts(sets: list[np.ndarray]) -> np.ndarray:
     what, who = what[order], who[order]
     starts = np.flatnonzero(np.concatenate([[True], what[1:] != what[:-1]]))
     df = np.diff(np.concatenate([starts, [len(what)]]))
-    out = np.zeros((n, n), np.int64)
+    out = np.zeros((n, n), np.int32)
     few = 1 if n <= 64 else 12
     for k in range(2, few + 1):
         rows = who[starts[df == k][:, None] + np.arange(k)]
@@ -285,7 +285,7 @@ def shared_counts(sets: list[np.ndarray]) -> np.ndarray:
         sizes = df[cols]
         at = np.repeat(starts[cols], sizes) + np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes)
         x[who[at], np.repeat(np.arange(len(cols)), sizes)] = 1
-        out += np.rint(x @ x.T).astype(np.int64)
+        out += np.rint(x @ x.T).astype(np.int32)
     return out
 
 
@@ -305,13 +305,13 @@ def _decide(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if len(ids) < 2 or not sum(map(len, sets)):
             continue
         both = shared_counts(sets)
-        size = np.array([len(s) for s in sets], np.int64)
+        size = np.array([len(s) for s in sets], np.int32)
         near = den * both >= num * (size[:, None] + size[None, :] - both)
         near &= both > 0
         np.fill_diagonal(near, False)
         if lo != hi:
             near &= block[:, None] != block[None, :]
-        links, root = near.astype(np.int64) @ weight, _roots(near)
+        links, root = np.array([weight[row].sum() for row in near]), _roots(near)
         some = np.flatnonzero(near.any(axis=1))
         columns = [pa.array(x[some], pa.int64()) for x in (ids, ids[root], links)]
         yield pa.RecordBatch.from_arrays(columns, names=["node", "root", "links"])
