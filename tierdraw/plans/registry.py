@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,7 +18,7 @@ from ..oracle import sql
 from ..oracle.training import run
 from ..sources.catalog import load
 from ..streaming import online
-from . import losses, relational, theory, trainers, workloads
+from . import constants, losses, relational, theory, trainers, workloads
 
 K = ["vec_id"]
 Query = Callable[[SparkSession, str], DataFrame]
@@ -190,19 +191,34 @@ def _bits_cumulative(spark: SparkSession, sf: str) -> DataFrame:
     return cost.cumulative(log).select("method", "step", "bits_cum")
 
 
+def _lineitem_samples(spark: SparkSession, sf: str) -> DataFrame:
+    return losses.lineitem_squares(load(spark, sf, "lineitem", "l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax", "l_extendedprice"), 1)
+
+
+def _problem_constants(spark: SparkSession, sf: str) -> DataFrame:
+    """Smoothness, noise at zero, gap of the loss and squared distance to the solution."""
+    p = constants.LeastSquares.of(_lineitem_samples(spark, sf), 4)
+    best = p.best()
+    row = (p.smoothness(), p.noise2(), p.c / 2 - p.loss(best), float(best @ best))
+    return _rounded(spark.createDataFrame([row], "smoothness double, noise2 double, gap double, distance2 double"), "smoothness", "noise2", "gap", "distance2")
+
+
 def _self_bound(spark: SparkSession, sf: str) -> DataFrame:
-    """Squared gradient norms along a run against twice the smoothness times the gap of the loss."""
-    import numpy as np
-
-    samples = losses.lineitem_squares(load(spark, sf, "lineitem", "l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax", "l_extendedprice"), 1)
-    moments = [F.avg(F.col("a")[i] * F.col("a")[j]).alias(f"h{i}{j}") for i in range(4) for j in range(4)] + [F.avg(F.col("a")[i] * F.col("y")).alias(f"b{i}") for i in range(4)] + [F.avg(F.col("y") * F.col("y")).alias("c")]
-    row = samples.agg(*moments).first()  # one row: the normal equations
-    h, b = np.array([[row[f"h{i}{j}"] for j in range(4)] for i in range(4)]), np.array([row[f"b{i}"] for i in range(4)])
-    loss = lambda x: float(0.5 * (x @ h @ x - 2 * b @ x + row["c"]))
-    best, smooth = loss(np.linalg.solve(h, b)), float(np.linalg.eigvalsh(h)[-1])
+    """Losses and squared gradient norms along a run, and whether these are at most twice the smoothness times the gap."""
+    samples = _lineitem_samples(spark, sf)
+    p = constants.LeastSquares.of(samples, 4)
     history, _ = trainers.fit(samples, 4, trainers.Uncompressed(), 4, 0.5, 1)
-    log = spark.createDataFrame([(t, loss(x := np.array(v)), float(((h @ x - b) ** 2).sum())) for t, v in enumerate(history)], "step int, loss double, grad_norm2 double")
-    return accuracy.self_bound(log, smooth, best).select("step", "holds")
+    log = spark.createDataFrame([(t, p.loss(x := np.array(v)), float(p.grad(x) @ p.grad(x))) for t, v in enumerate(history)], "step int, loss double, grad_norm2 double")
+    out = accuracy.self_bound(log, p.smoothness(), p.loss(p.best()))
+    return out.select("step", F.round("loss", 9).alias("loss"), F.round("grad_norm2", 9).alias("grad_norm2"), "holds")
+
+
+def _bias(spark: SparkSession, sf: str) -> DataFrame:
+    """Distance of the mean message from the vector: of largest-k, which is biased, and of the drawn levels of segments, which is not."""
+    c = embedding_coords(spark, sf)
+    k = accuracy.bias(c, base_compressors.top_k(c, K, 8), K).select("vec_id", F.lit("topk").alias("method"), "bias")
+    drawn = accuracy.bias(c, enumerate_expectation(c, K, SegmentLevels(8)), K).select("vec_id", F.lit("segment_levels").alias("method"), "bias")
+    return _rounded(k.union(drawn), "bias")
 
 
 def _fit(kind: str, steps: int = 3, eta: float = 0.5, m: int = 4, fraction: float = 0.2, seed: int = 5) -> Query:
@@ -322,7 +338,7 @@ def queries() -> dict[str, Query]:
         "bits_per_message": _bits, "bits_expected_rtn": _expected_rtn_bits,
         "sgd_plain_ls_3steps": _fit("plain"), "sgd_tier_fixed_ls_3steps": _fit("fixed"), "sgd_tier_adaptive_ls_3steps": _fit("segment"), "sgd_topk_ls_3steps": _fit("topk"), "sgd_randk_ls_3steps": _fit("randk"), "sgd_ef21m_ls_3steps": _fit("ef21m"), "marina_ls_3steps": _fit("marina"), "dasha_ls_3steps": _fit("dasha"),
         "sgd_tier_adaptive_softmax_2steps": _softmax,
-        "var_customer_prices": _customer_prices, "var_user_values": _user_values, "message_variance_by_workers": _message_variance, "bits_cumulative": _bits_cumulative, "self_bound_ls": _self_bound,
+        "var_customer_prices": _customer_prices, "var_user_values": _user_values, "message_variance_by_workers": _message_variance, "bits_cumulative": _bits_cumulative, "self_bound_ls": _self_bound, "problem_constants_ls": _problem_constants, "bias_by_method": _bias,
         "bounds_grid": _bounds, "worker_limit_grid": _limits, "heterogeneity_ls": _heterogeneity,
     }
     return out | relational.QUERIES | workloads.QUERIES | online.QUERIES | sql_surface.QUERIES
@@ -366,7 +382,8 @@ def oracle_sql() -> dict[str, str]:
         "var_customer_prices": "WITH c AS (SELECT o_custkey AS vec_id, l_orderkey * 8 + l_linenumber AS pos, l_extendedprice / 1000 AS val FROM lineitem JOIN orders ON l_orderkey = o_orderkey), " + _RAGGED + " SELECT vec_id, round(sum(dl) * sum(dl) / sum(s2) - 1, 6) AS omega FROM g GROUP BY vec_id",
         "var_user_values": "WITH c AS (SELECT user_id AS vec_id, event_id AS pos, value AS val FROM events), " + _RAGGED + ", f AS (SELECT vec_id, -2 * regr_slope(ln(abs(val)), rk - 1) AS r FROM r WHERE val <> 0 GROUP BY vec_id) SELECT vec_id, any_value(d) AS d, round(sum(dl) * sum(dl) / sum(s2) - 1, 6) AS omega, round(any_value(d) / 4.0 - 1, 6)::DOUBLE AS rand_omega, round(any_value(f.r), 6) AS r FROM g JOIN f USING (vec_id) GROUP BY vec_id",
         "bits_cumulative": "SELECT method, step, (4 * bits * step)::BIGINT AS bits_cum FROM (VALUES ('uncompressed', 64000), ('sparse', 640), ('fixed_tier', 2070), ('float_tier', 13006)) v(method, bits), (SELECT unnest(range(1, 11))::INT AS step)",
-        "self_bound_ls": "SELECT unnest(range(5))::INT AS step, true AS holds",
+        "self_bound_ls": constants.self_bound_sql(4, 0.5), "problem_constants_ls": constants.constants_sql(),
+        "bias_by_method": s.with_(s.C, s.RANKED, select="SELECT vec_id, 'topk' AS method, round(sqrt(sum(CASE WHEN rk > 8 THEN val * val ELSE 0 END)), 6) AS bias FROM r GROUP BY vec_id UNION ALL SELECT vec_id, 'segment_levels', 0.0 FROM c GROUP BY vec_id"),
         "bounds_grid": _bounds_sql(), "worker_limit_grid": "SELECT n, round(pow(n, 0.5), 6) AS tier, round(pow(n, 1.0 / 3), 6) AS feedback FROM (VALUES (1e4::DOUBLE), (1e6), (1e8)) v(n)", "heterogeneity_ls": _heterogeneity_sql(),
     }
     return out | relational.ORACLES | online.ORACLES | sql_surface.ORACLES
