@@ -34,8 +34,8 @@ def level_table(prepared: DataFrame, keys: Sequence[str], family: LevelFamily, p
     return prepared.select(*keys).distinct().crossJoin(F.broadcast(probs.select("level", "q")))  # levels: at most 64 rows, or the caller's
 
 
-def tier_estimate(coords: DataFrame, keys: Sequence[str], family: LevelFamily, probs: DataFrame | str = "adaptive", seed: int = 0, reps: int = 1) -> DataFrame:
-    """keys, level, q, pos, val of the messages; with ``reps`` > 1, the mean of that many independent draws (then without level and q).
+def tier_draws(coords: DataFrame, keys: Sequence[str], family: LevelFamily, probs: DataFrame | str = "adaptive", seed: int = 0, reps: int = 1) -> DataFrame:
+    """keys, level, q, pos, val of the messages, and rep (from 1) if there are several independent draws.
 
     Only the drawn level's residual is computed. Coordinates that a level of a sparse family does not touch are not sent; zero vectors send nothing.
     """
@@ -49,7 +49,12 @@ def tier_estimate(coords: DataFrame, keys: Sequence[str], family: LevelFamily, p
     rows = prepared.join(drawn, list(keys))
     if family.sparse:
         rows = rows.filter(F.array_contains(family.touched(), F.col("level")))
-    rows = rows.select(*by, "level", "q", "pos", (family.base() + family.residual(F.col("level")) / F.col("q")).alias("val"))
+    return rows.select(*by, "level", "q", "pos", (family.base() + family.residual(F.col("level")) / F.col("q")).alias("val"))
+
+
+def tier_estimate(coords: DataFrame, keys: Sequence[str], family: LevelFamily, probs: DataFrame | str = "adaptive", seed: int = 0, reps: int = 1) -> DataFrame:
+    """The messages of ``tier_draws``; with ``reps`` > 1, the mean of that many independent draws (then without level and q)."""
+    rows = tier_draws(coords, keys, family, probs, seed, reps)
     if reps == 1:
         return rows
     return rows.groupBy(*keys, "pos").agg((F.sum("val") / reps).alias("val"))

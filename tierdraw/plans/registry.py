@@ -18,7 +18,7 @@ from ..oracle import sql
 from ..oracle.training import run
 from ..sources.catalog import load
 from ..streaming import online
-from . import constants, losses, relational, theory, trainers, workloads
+from . import checks, constants, losses, relational, theory, trainers, workloads
 
 K = ["vec_id"]
 Query = Callable[[SparkSession, str], DataFrame]
@@ -341,7 +341,7 @@ def queries() -> dict[str, Query]:
         "var_customer_prices": _customer_prices, "var_user_values": _user_values, "message_variance_by_workers": _message_variance, "bits_cumulative": _bits_cumulative, "self_bound_ls": _self_bound, "problem_constants_ls": _problem_constants, "bias_by_method": _bias,
         "bounds_grid": _bounds, "worker_limit_grid": _limits, "heterogeneity_ls": _heterogeneity,
     }
-    return out | relational.QUERIES | workloads.QUERIES | online.QUERIES | sql_surface.QUERIES
+    return out | checks.QUERIES | relational.QUERIES | workloads.QUERIES | online.QUERIES | sql_surface.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
@@ -386,4 +386,4 @@ def oracle_sql() -> dict[str, str]:
         "bias_by_method": s.with_(s.C, s.RANKED, select="SELECT vec_id, 'topk' AS method, round(sqrt(sum(CASE WHEN rk > 8 THEN val * val ELSE 0 END)), 6) AS bias FROM r GROUP BY vec_id UNION ALL SELECT vec_id, 'segment_levels', 0.0 FROM c GROUP BY vec_id"),
         "bounds_grid": _bounds_sql(), "worker_limit_grid": "SELECT n, round(pow(n, 0.5), 6) AS tier, round(pow(n, 1.0 / 3), 6) AS feedback FROM (VALUES (1e4::DOUBLE), (1e6), (1e8)) v(n)", "heterogeneity_ls": _heterogeneity_sql(),
     }
-    return out | relational.ORACLES | online.ORACLES | sql_surface.ORACLES
+    return out | checks.ORACLES | relational.ORACLES | online.ORACLES | sql_surface.ORACLES
