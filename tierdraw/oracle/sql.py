@@ -67,6 +67,11 @@ def residuals(family: str, n: int = 0) -> list[str]:
         more = f" + CASE WHEN level = 1 THEN sign(val) * {LEAD} ELSE 0 END" if family == "float_zero" else ""
         base = "0.0" if family == "float_zero" else f"sign(val) * {LEAD}"
         return [C, TOP, f"res AS MATERIALIZED (SELECT vec_id, pos, val, {base} AS bv, level, sign(val) * {LEAD} * {bit} / pow(2, level){more} AS r FROM c, (SELECT unnest(range(1, 53))::INT AS level))"]
+    if family == "custom":
+        few, grid4 = "CASE WHEN rk <= 4 THEN val ELSE 0 END", grid(4)
+        steps = (few, f"{grid4} - {few}", f"val - {grid4}")
+        ladder = " UNION ALL ".join(f"SELECT vec_id, pos, val, 0.0 AS bv, {l} AS level, {r} AS r FROM r JOIN t USING (vec_id)" for l, r in enumerate(steps, 1))
+        return [C, TOP, RANKED, f"res AS MATERIALIZED ({ladder})"]
     parts = " UNION ALL ".join(f"SELECT vec_id, pos, val, 0.0 AS bv, {l} AS level, {'val' if l == n else grid(l)} - {'0' if l == 1 else grid(l - 1)} AS r FROM c JOIN t USING (vec_id)" for l in range(1, n + 1))
     return [C, TOP, f"res AS MATERIALIZED ({parts})"]
 
@@ -79,6 +84,8 @@ def probs(family: str, n: int = 0, how: str = "adaptive") -> list[str]:
     """CTEs that end in pr(vec_id, level, q)."""
     if how == "adaptive":
         return [*deltas(family, n), "pr AS MATERIALIZED (SELECT vec_id, level, delta / sum(delta) OVER (PARTITION BY vec_id) AS q FROM dl)"]
+    if how == "uniform":
+        return [*residuals(family, n), f"pr AS MATERIALIZED (SELECT vec_id, level, 1 / {n}::DOUBLE AS q FROM (SELECT DISTINCT vec_id FROM c), (SELECT unnest(range(1, {n + 1}))::INT AS level))"]
     depth = int(how)
     return [*residuals(family, n), f"pr AS MATERIALIZED (SELECT vec_id, level, pow(2, -level) / (1 - pow(2, -{depth})) AS q FROM (SELECT DISTINCT vec_id FROM c), (SELECT unnest(range(1, {depth + 1}))::INT AS level))"]
 

@@ -17,7 +17,7 @@ from ..operators.telescoping import enumerate_expectation, exact_variance, tier_
 from ..oracle import sql
 from ..oracle.training import run
 from ..sources.catalog import load
-from ..streaming import online
+from ..streaming import arrivals, online
 from . import checks, constants, losses, relational, theory, trainers, workloads
 
 K = ["vec_id"]
@@ -78,6 +78,12 @@ def _custom(c: DataFrame) -> CustomLevels:
     return CustomLevels([lambda x, k: base_compressors.top_k(x, k, 4), lambda x, k: base_compressors.round_to_grid(x, k, 4), same])
 
 
+def _tier_custom(spark: SparkSession, sf: str) -> DataFrame:
+    """Messages of a ladder put together from other compressors: largest four, grid of four bits, all."""
+    c = embedding_coords(spark, sf)
+    return _rounded(_rounded(tier_estimate(c, K, _custom(c), uniform_probs(spark, 3)), "q", digits=9), "val")
+
+
 def _alpha(spark: SparkSession, sf: str) -> DataFrame:
     return _rounded(accuracy.contraction(embedding_coords(spark, sf), K, SegmentLevels(8)), "delta", "alpha")
 
@@ -236,6 +242,14 @@ def _fit(kind: str, steps: int = 3, eta: float = 0.5, m: int = 4, fraction: floa
     return query
 
 
+def _marina_bits(spark: SparkSession, sf: str) -> DataFrame:
+    """Cumulative bits of four workers over four steps of the full-sync template: steps whose coin sends whole gradients cost 64 bits a coordinate."""
+    samples = losses.lineitem_squares(load(spark, sf, "lineitem", "l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax", "l_extendedprice"), 4)
+    method = trainers.MarinaTemplate(trainers.TierDraw(SegmentLevels(1), bits_per=lambda n: 64), 0.5)
+    _, bits = trainers.fit(samples, 4, method, 4, 0.5, 4, fraction=0.2, seed=5)
+    return spark.createDataFrame(list(enumerate(bits)), "step int, bits_cum long")
+
+
 def _softmax(spark: SparkSession, sf: str) -> DataFrame:
     """Two steps of adaptive segments on a classification of vectors."""
     samples = losses.embedding_classes(load(spark, sf, "embeddings", "vec_id", "embedding", "label"), 4)
@@ -327,7 +341,8 @@ def queries() -> dict[str, Query]:
         "probs_uniform": lambda s, sf: _rounded(uniform_probs(s, 8), "q"), "probs_custom": lambda s, sf: custom_probs(uniform_probs(s, 4)),
         "probs_adaptive_segment": _probs("segment", 8), "probs_adaptive_fixed": _probs("fixed"), "probs_adaptive_float": _probs("float"), "probs_adaptive_rtn": _probs("rtn", 8), "probs_energy_share": _energy, "probs_cost_aware": _cost_aware,
         "tier_segment_s1": _tier("segment", 1), "tier_segment_s8": _tier("segment", 8), "tier_fixed": _tier("fixed", how="63"), "tier_fixed_adaptive": _tier("fixed"), "tier_float": _tier("float", how="52"), "tier_float_zero_base": _tier("float_zero", how="52"), "tier_rtn": _tier("rtn", 8),
-        "tier_custom": lambda s, sf: _rounded(enumerate_expectation(c := embedding_coords(s, sf), K, _custom(c), uniform_probs(s, 3)), "val"),
+        "tier_custom": _tier_custom,
+        "expect_custom": lambda s, sf: _rounded(enumerate_expectation(c := embedding_coords(s, sf), K, _custom(c), uniform_probs(s, 3)), "val"),
         "tier_weighted_coordinate": _on_coords(lambda c: weighted_coordinate(c, K, 7)),
         "expect_segment": _expect("segment", 8), "expect_fixed": _expect("fixed", how="63"), "expect_float": _expect("float", how="52"), "expect_rtn": _expect("rtn", 8),
         "var_segment_exact": _variance("segment", 8), "var_fixed_exact": _variance("fixed", how="63"), "var_float_exact": _variance("float", how="52"), "var_rtn_exact": _variance("rtn", 8),
@@ -337,11 +352,11 @@ def queries() -> dict[str, Query]:
         "omega_table": _omega, "decay_rate_fit": _decay, "decay_closed_form": _decay_forms,
         "bits_per_message": _bits, "bits_expected_rtn": _expected_rtn_bits,
         "sgd_plain_ls_3steps": _fit("plain"), "sgd_tier_fixed_ls_3steps": _fit("fixed"), "sgd_tier_adaptive_ls_3steps": _fit("segment"), "sgd_topk_ls_3steps": _fit("topk"), "sgd_randk_ls_3steps": _fit("randk"), "sgd_ef21m_ls_3steps": _fit("ef21m"), "marina_ls_3steps": _fit("marina"), "dasha_ls_3steps": _fit("dasha"),
-        "sgd_tier_adaptive_softmax_2steps": _softmax,
+        "sgd_tier_adaptive_softmax_2steps": _softmax, "bits_marina_ls": _marina_bits,
         "var_customer_prices": _customer_prices, "var_user_values": _user_values, "message_variance_by_workers": _message_variance, "bits_cumulative": _bits_cumulative, "self_bound_ls": _self_bound, "problem_constants_ls": _problem_constants, "bias_by_method": _bias,
         "bounds_grid": _bounds, "worker_limit_grid": _limits, "heterogeneity_ls": _heterogeneity,
     }
-    return out | checks.QUERIES | relational.QUERIES | workloads.QUERIES | online.QUERIES | sql_surface.QUERIES
+    return out | checks.QUERIES | relational.QUERIES | workloads.QUERIES | online.QUERIES | arrivals.QUERIES | sql_surface.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
@@ -354,7 +369,8 @@ def oracle_sql() -> dict[str, str]:
     fv = f"({s.LEAD} * (1 - pow(2, -52)) * (abs(val) - {s.LEAD}) - (abs(val) - {s.LEAD}) * (abs(val) - {s.LEAD}))"
     levels = lambda f, n, cols: s.with_(*s.probs(f, n), select=f"SELECT vec_id, level, {cols} FROM pr")
     out = {
-        "vec_coords": s.VECTOR, "vec_dense_roundtrip": s.VECTOR, "vec_block_roundtrip": s.VECTOR, "expect_segment": s.VECTOR, "expect_fixed": s.VECTOR, "expect_float": s.VECTOR, "expect_rtn": s.VECTOR, "tier_custom": s.VECTOR,
+        "vec_coords": s.VECTOR, "vec_dense_roundtrip": s.VECTOR, "vec_block_roundtrip": s.VECTOR, "expect_segment": s.VECTOR, "expect_fixed": s.VECTOR, "expect_float": s.VECTOR, "expect_rtn": s.VECTOR, "expect_custom": s.VECTOR,
+        "tier_custom": s.estimate("custom", 3, "uniform"),
         "vec_norms": s.with_(s.C, s.TOP, select="SELECT vec_id, d, round(l1, 6) AS l1, round(l2sq, 6) AS l2sq, round(top, 6) AS top FROM t"),
         **{k: s.with_(s.C, s.RANKED, select="SELECT vec_id, pos, round(val, 6) AS val, rk::INT AS rk FROM r") for k in ("vec_rank_magnitude", "vec_rank_histogram")},
         "vec_sum_exact": s.with_(s.C, select="SELECT vec_id, round(sum(val::DECIMAL(28,15))::DOUBLE, 9) AS total FROM c GROUP BY vec_id"),
@@ -381,9 +397,10 @@ def oracle_sql() -> dict[str, str]:
         **{f"{name}_ls_3steps": run(kind, 3, 0.5, 4, 1.0 if kind == "dasha" else 0.2, 5, 1 if kind in ("segment", "marina", "dasha") else 2) for name, kind in (("sgd_plain", "plain"), ("sgd_tier_fixed", "fixed"), ("sgd_tier_adaptive", "segment"), ("sgd_topk", "topk"), ("sgd_randk", "randk"), ("sgd_ef21m", "ef21m"), ("marina", "marina"), ("dasha", "dasha"))},
         "var_customer_prices": "WITH c AS (SELECT o_custkey AS vec_id, l_orderkey * 8 + l_linenumber AS pos, l_extendedprice / 1000 AS val FROM lineitem JOIN orders ON l_orderkey = o_orderkey), " + _RAGGED + " SELECT vec_id, round(sum(dl) * sum(dl) / sum(s2) - 1, 6) AS omega FROM g GROUP BY vec_id",
         "var_user_values": "WITH c AS (SELECT user_id AS vec_id, event_id AS pos, value AS val FROM events), " + _RAGGED + ", f AS (SELECT vec_id, -2 * regr_slope(ln(abs(val)), rk - 1) AS r FROM r WHERE val <> 0 GROUP BY vec_id) SELECT vec_id, any_value(d) AS d, round(sum(dl) * sum(dl) / sum(s2) - 1, 6) AS omega, round(any_value(d) / 4.0 - 1, 6)::DOUBLE AS rand_omega, round(any_value(f.r), 6) AS r FROM g JOIN f USING (vec_id) GROUP BY vec_id",
+        "bits_marina_ls": f"SELECT 0 AS step, 0::BIGINT AS bits_cum UNION ALL SELECT step, sum(CASE WHEN step = 1 OR {s.u(5, "'coin'", 'step')} < 0.5 THEN 1024 ELSE 256 END) OVER (ORDER BY step)::BIGINT FROM (SELECT unnest(range(1, 5))::INT AS step)",
         "bits_cumulative": "SELECT method, step, (4 * bits * step)::BIGINT AS bits_cum FROM (VALUES ('uncompressed', 64000), ('sparse', 640), ('fixed_tier', 2070), ('float_tier', 13006)) v(method, bits), (SELECT unnest(range(1, 11))::INT AS step)",
         "self_bound_ls": constants.self_bound_sql(4, 0.5), "problem_constants_ls": constants.constants_sql(),
         "bias_by_method": s.with_(s.C, s.RANKED, select="SELECT vec_id, 'topk' AS method, round(sqrt(sum(CASE WHEN rk > 8 THEN val * val ELSE 0 END)), 6) AS bias FROM r GROUP BY vec_id UNION ALL SELECT vec_id, 'segment_levels', 0.0 FROM c GROUP BY vec_id"),
         "bounds_grid": _bounds_sql(), "worker_limit_grid": "SELECT n, round(pow(n, 0.5), 6) AS tier, round(pow(n, 1.0 / 3), 6) AS feedback FROM (VALUES (1e4::DOUBLE), (1e6), (1e8)) v(n)", "heterogeneity_ls": _heterogeneity_sql(),
     }
-    return out | checks.ORACLES | relational.ORACLES | online.ORACLES | sql_surface.ORACLES
+    return out | checks.ORACLES | relational.ORACLES | online.ORACLES | arrivals.ORACLES | sql_surface.ORACLES

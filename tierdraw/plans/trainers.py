@@ -124,16 +124,19 @@ class MarinaTemplate(Method):
     label = "marina"
     state: DataFrame | None = None
     before: list[float] | None = None
+    whole: bool = True
 
     def start(self):
         self.state = self.before = None
+        self.whole = True
 
     def coin(self, spark, seed: int, step: int) -> bool:
         """Whether this step sends whole gradients."""
         return step == 1 or spark.range(1).select(hash_uniform(seed, "coin", step).alias("u")).first()[0] < self.p
 
     def message(self, grads, step, seed, model, again):
-        if self.coin(grads.sparkSession, seed, step):
+        self.whole = self.coin(grads.sparkSession, seed, step)
+        if self.whole:
             new = grads
         else:
             diff = subtract(grads, again(self.before).withColumn("step", F.lit(step)), KEYS)
@@ -144,7 +147,8 @@ class MarinaTemplate(Method):
         return self.state
 
     def bits(self, n, step):
-        return 64 * n if step == 1 else self.inner.bits(n, step)
+        """Of the step whose message was made last."""
+        return 64 * n if self.whole else self.inner.bits(n, step)
 
 
 @dataclass
