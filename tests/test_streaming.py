@@ -54,3 +54,18 @@ def test_stateful_feedback(spark, tmp_path):
     stream = spark.readStream.schema(rows.schema).parquet(str(tmp_path / "g"))
     got = online.drain(online.error_feedback(stream, 1), "append").collect()
     assert len(got) == 6 and {r["worker"] for r in got} == {0, 1}
+
+
+def test_appended_rows_are_not_held_by_the_driver(spark, folder):
+    """Appended rows are files in the shared folder, states are kept on disk, and the session's own setting stays as it was."""
+    got = online.drain(online.dedup(online.with_watermark(online.event_stream(spark, folder), "60 days")), "append")
+    files = got.inputFiles()
+    assert files and all(spark.sparkContext.getCheckpointDir().split(":")[-1] in f for f in files)
+    with online.states_on_disk(spark):
+        assert "RocksDB" in spark.conf.get(online.STORE)
+    assert spark.conf.get(online.STORE, None) is None
+    assert got.count() == spark.read.parquet(folder).select("event_id").distinct().count()
+
+
+def test_stream_without_files(spark, tmp_path):
+    assert online.drain(online.event_stream(spark, str(tmp_path)), "append").count() == 0
