@@ -3,9 +3,15 @@
 import datetime
 
 import duckdb
+import pytest
 
 import __spark_entry__ as entry
 
+#: Queries that made their data up before, with the tables that they read.
+READ_NOTHING = {
+    "bits_cumulative": ["events"],
+}
+
 
 def rows_of(spark, name, folder, *tables):
     con = duckdb.connect()
@@ -30,3 +36,23 @@ def test_values_of_zero_count_as_coordinates(spark, tmp_path):
     write_events(spark, tmp_path, {1: [3.0, 0.0, 1.5, 0.25, 8.0, 2.0], 2: [0.0, 0.0], 3: [5.0, 2.5, 1.0], 4: [1.0, 0.0]})
     got, want = rows_of(spark, "var_user_values", tmp_path, "events")
     assert got == want and len(got) == 3
+
+
+@pytest.mark.parametrize("name", READ_NOTHING)
+def test_tasks_read_the_table(spark, name):
+    """Tasks read more than 50 kB of the tables of sf0.1, and the rows are those of the SQL if there is one."""
+    core = spark.sparkContext._jsc.sc()
+
+    def read():
+        core.listenerBus().waitUntilEmpty()
+        return core.statusStore().executorList(True).apply(0).totalInputBytes()
+
+    spark.conf.set("parquet.hadoop.vectored.io.enabled", "false")  # bytes of vectored reads are not counted
+    folder, before = "/root/testdata/sf0.1", read()
+    if name in entry.oracle_sql():
+        got, want = rows_of(spark, name, folder, *READ_NOTHING[name])
+        assert got == want
+    else:
+        assert entry.queries()[name](spark, folder).collect()
+    spark.conf.unset("parquet.hadoop.vectored.io.enabled")
+    assert read() - before > 50_000
