@@ -9,6 +9,7 @@ import __spark_entry__ as entry
 
 #: Queries that made their data up before, with the tables that they read.
 READ_NOTHING = {
+    "divergence_fixture": ["embeddings"],
     "decay_closed_form": ["embeddings"],
     "bounds_grid": ["events"],
     "bits_per_message": ["events"],
@@ -59,3 +60,9 @@ def test_tasks_read_the_table(spark, name):
         assert entry.queries()[name](spark, folder).collect()
     spark.conf.unset("parquet.hadoop.vectored.io.enabled")
     assert read() - before > 50_000
+
+
+def test_divergence_from_the_means_of_classes(spark):
+    rows = entry.queries()["divergence_fixture"](spark, "/root/testdata/sf0.001").collect()
+    assert len(rows) == 50 and {r["label"] for r in rows} == set(range(10))
+    assert all(r["grows"] == (r["method"] == "topk") for r in rows)
