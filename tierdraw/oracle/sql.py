@@ -109,4 +109,15 @@ def variance(family: str, n: int = 0, how: str = "adaptive") -> str:
     )
 
 
+def drawn_by_events(probs: str, seed: int = 13) -> str:
+    """level, q, n of a query ``probs`` of level and q."""
+    return with_(
+        f"p AS ({probs})",
+        "b AS (SELECT level, q, sum(q) OVER (ORDER BY level ROWS UNBOUNDED PRECEDING) AS hi, max(CASE WHEN q > 0 THEN level END) OVER () AS last FROM p)",
+        f"e AS (SELECT {u(seed, 'event_id')} AS u FROM events)",
+        "n AS (SELECT level, count(*) AS n FROM e JOIN b ON hi - q <= u AND u < CASE WHEN level >= last THEN 1.0 ELSE hi END WHERE q > 0 GROUP BY level)",
+        select="SELECT level, round(q, 12) AS q, coalesce(n, 0) AS n FROM p LEFT JOIN n USING (level)",
+    )
+
+
 VECTOR = with_(C, select=coords_out("val", "c"))
