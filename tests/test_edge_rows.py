@@ -9,6 +9,7 @@ import __spark_entry__ as entry
 
 #: Queries that made their data up before, with the tables that they read.
 READ_NOTHING = {
+    "worker_limit_grid": ["lineitem"],
     "probs_uniform": ["events"],
     "probs_geometric_recursive": ["events"],
     "probs_geometric_63": ["events"],
