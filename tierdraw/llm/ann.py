@@ -27,7 +27,7 @@ REPLICAS, CLOSURE, LEAST_PROBES, BREADTH = 4, 1.15, 16, 128
 #: Share of true neighbours that the ratio is to find, and vectors whose neighbours are worked out to choose it.
 RECALL, TRIALS = 0.97, 128
 #: Neighbours of a centroid in the graph, entry points; numbers of an index partition, and of the products that a task holds at once.
-DEGREE, ENTRIES, PART_FLOATS, BLOCK_FLOATS = 24, 24, 4_000_000, 4_000_000
+DEGREE, ENTRIES, PART_FLOATS, BLOCK_FLOATS = 24, 24, 4_000_000, 2_000_000
 
 
 def usable(rows: DataFrame, id_col: str, vec_col: str) -> DataFrame:
@@ -191,7 +191,10 @@ class Part:
         lists = column("list")
         order = np.argsort(lists, kind="stable")
         numbers, starts = np.unique(lists[order], return_index=True)
-        x = np.concatenate([_matrix(b.column("v"), width) for b in batches])[order]
+        to, x, s = np.argsort(order, kind="stable"), np.empty((len(lists), width)), 0
+        for b in batches:  # straight into place: no second copy of all vectors
+            x[to[s : s + b.num_rows]] = _matrix(b.column("v"), width)
+            s += b.num_rows
         ids = pa.concat_arrays([b.column("ids") for b in batches]).take(pa.array(order))
         least = ids.values.to_numpy()[ids.offsets.to_numpy()[:-1]]
         return cls(numbers, np.append(starts, len(lists)), x, column("h1")[order], column("h2")[order], ids, least)
@@ -331,6 +334,7 @@ def search(rows: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "em
                     continue
                 if held:  # postings come before queries
                     part, held = Part.of(held, shared.value.width), []
+                    free_memory()
                 if part is not None:
                     yield from part.answers(rows, k, shared.value.norm)
         held, part = [], None
